@@ -7,7 +7,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from wavefront.llm import bpe, licences, media, minhash, mixing, sharding, suffix_dedup, urls
+from wavefront.llm import bpe, embeddings, licences, media, minhash, mixing, sharding, suffix_dedup, toxicity, urls
 
 
 def tokenizer_path() -> str:
@@ -35,6 +35,10 @@ def op3_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media.as_media(_documents(spark, sf_dir)).drop("key_ranges", "media")
 
 
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.grade_documents(_documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
 def op5_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licences.scan(_documents(spark, sf_dir))
 
@@ -51,6 +55,10 @@ def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(_documents(spark, sf_dir)).drop("place", "start")
 
 
+def op9_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embeddings.near_vectors(spark.read.parquet(f"{sf_dir}/embeddings.parquet"))
+
+
 def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urls.judge(spark.read.parquet(f"{sf_dir}/pages.parquet"))
 
@@ -59,10 +67,12 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_feistel_shards": op1_feistel_shards,
     "op2_bpe": op2_bpe,
     "op3_media": op3_media,
+    "op4_toxicity": op4_toxicity,
     "op5_licences": op5_licences,
     "op6_suffix_dedup": op6_suffix_dedup,
     "op7_minhash_dedup": op7_minhash_dedup,
     "op8_mixing": op8_mixing,
+    "op9_embedding_dedup": op9_embedding_dedup,
     "op10_url_filter": op10_url_filter,
 }
 ORACLE: dict[str, str] = {}
