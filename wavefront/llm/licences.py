@@ -12,10 +12,11 @@ from __future__ import annotations
 import math
 import re
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 THRESHOLD = 0.8
+_GAP = r"[^\p{L}\p{N}]+"
 # Notices of public licences, as they are printed.
 TEMPLATES: dict[str, tuple[str, ...]] = {
     "Apache-2.0": (
@@ -43,6 +44,10 @@ TEMPLATES: dict[str, tuple[str, ...]] = {
 }
 
 
+# Words too common to tell a licence; taken as probes last.
+COMMON = {"a", "an", "and", "any", "as", "at", "be", "by", "for", "from", "in", "is", "it", "may", "of", "on", "or", "that", "the", "this", "to", "under", "with", "you"}
+
+
 def words(text: str) -> list[str]:
     return re.findall(r"[^\W_]+", text.lower())
 
@@ -58,7 +63,7 @@ def probe_words(text: str, threshold: float) -> set[str]:
     spare = len(grams) - math.ceil(len(grams) * threshold / (2 - threshold) - 1e-9)
     chosen: set[str] = set()
     lost: set[str] = set()
-    for w in sorted(set(words(text)), key=lambda x: (-len(x), x)):
+    for w in sorted(set(words(text)), key=lambda x: (x in COMMON, -len(x), x)):
         if len(lost) > spare:
             break
         touched = {g for g in grams if w in g.split(" ")} - lost
@@ -68,14 +73,6 @@ def probe_words(text: str, threshold: float) -> set[str]:
     return chosen
 
 
-def _words(text: Column) -> Column:
-    return F.filter(F.split(F.lower(text), r"[^\p{L}\p{N}]+"), lambda w: w != "")
-
-
-def _bigrams(w: Column) -> Column:
-    return F.array_distinct(F.transform(F.sequence(F.lit(0), F.size(w) - 2), lambda i: F.concat(F.get(w, i), F.lit(" "), F.get(w, i + 1))))
-
-
 def scan(docs: DataFrame, threshold: float = THRESHOLD, templates: dict[str, tuple[str, ...]] | None = None) -> DataFrame:
     """The best licence of each row of ``docs(doc_id, text, ...)``.
 
@@ -84,35 +81,25 @@ def scan(docs: DataFrame, threshold: float = THRESHOLD, templates: dict[str, tup
     one-word texts reach none; null or repeated doc_ids are rows like any other; other columns are ignored; an empty
     table gives an empty result. Templates are a short list and stand in the plan as literals.
     """
-    flat = [(name, t, bigrams(t)) for name, texts in sorted((templates or TEMPLATES).items()) for t in texts]
-    probes = sorted(set().union(*(probe_words(t, threshold) for _, t, _ in flat)))
-    most = max(len(g) for *_, g in flat) * (2 - threshold) / threshold
-    least = min(len(g) for *_, g in flat) * threshold / (2 - threshold)
+    flat = [(name, bigrams(t)) for name, texts in sorted((templates or TEMPLATES).items()) for t in texts]
+    probes = sorted(set().union(*(probe_words(t, threshold) for texts in (templates or TEMPLATES).values() for t in texts)))
+    low = threshold / (2 - threshold)
+    most, least = max(len(g) for _, g in flat) / low, min(len(g) for _, g in flat) * low
     text = F.col("text").cast("string")
-    seen = F.arrays_overlap(F.split(F.lower(text), r"[^\p{L}\p{N}]+"), F.array(*map(F.lit, probes)))
-    units = F.array_distinct(F.flatten(F.array(F.array(text), F.split(text, r"\n\s*\n"), F.split(text, r"\n"))))
-    row = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.when(seen, text).alias("text"))
-
-    def best(unit: Column) -> Column:
-        w = _words(unit)
-        fits = (F.size(w) - 1 >= least) & (F.size(F.array_distinct(w)) - 1 <= most)
-        grams = F.when(fits, _bigrams(w))
-        return F.aggregate(
-            F.array(grams),
-            F.struct(F.lit(0.0).alias("dice"), F.lit(None).cast("string").alias("licence")),
-            lambda acc, g: _better(acc, g),
-        )
-
-    def _better(acc: Column, g: Column) -> Column:
-        n = F.size(g)
-        scores = []
-        for name, _, t in flat:
-            inside = (n >= len(t) * threshold / (2 - threshold)) & (n <= len(t) * (2 - threshold) / threshold)
-            dice = F.when(inside, 2.0 * F.size(F.array_intersect(g, F.array(*map(F.lit, t)))) / (n + len(t)))
-            scores.append(F.struct(F.coalesce(dice, F.lit(0.0)).alias("dice"), F.lit(name).alias("licence")))
-        return F.when(g.isNull(), acc).otherwise(F.reduce(F.array(*scores), acc, lambda x, y: F.when(y["dice"] > x["dice"], y).otherwise(x)))
-
-    hits = F.when(F.col("text").isNotNull(), F.filter(F.transform(units, best), lambda h: h["dice"] >= threshold))
-    top = F.reduce(hits, F.struct(F.lit(0.0).alias("dice"), F.lit(None).cast("string").alias("licence")), lambda x, y: F.when((y["dice"] > x["dice"]) | ((y["dice"] == x["dice"]) & (y["licence"] < x["licence"])), y).otherwise(x))
-    found = row.select("doc_id", top.alias("t"))
-    return found.select("doc_id", F.col("t.licence").alias("licence"), F.when(F.col("t.licence").isNotNull(), F.col("t.dice")).alias("dice"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"))
+    seen = rows.where(F.arrays_overlap(F.split(F.lower("text"), _GAP), F.array(*map(F.lit, probes))))
+    parts = F.array_distinct(F.flatten(F.array(F.array("text"), F.split("text", r"\n\s*\n"), F.split("text", r"\n"))))
+    units = seen.select("doc_id", F.xxhash64("text").alias("tk"), F.explode(parts).alias("unit"))
+    w = F.split(F.trim(F.regexp_replace(F.lower("unit"), _GAP, " ")), " ")
+    units = units.select("doc_id", "tk", w.alias("w")).where((F.size("w") - 1 >= least) & (F.size(F.array_distinct("w")) - 1 <= most))
+    pairs = F.zip_with(F.slice("w", F.lit(1), F.size("w") - 1), F.slice("w", F.lit(2), F.size("w") - 1), lambda x, y: F.concat(x, F.lit(" "), y))
+    units = units.select("doc_id", "tk", F.array_distinct(pairs).alias("g"))
+    table = F.array(*(F.struct(F.lit(name).alias("licence"), F.array(*map(F.lit, g)).alias("t")) for name, g in flat))
+    met = units.withColumn("n", F.size("g")).select("doc_id", "tk", "g", "n", F.explode(F.filter(table, lambda x: (F.col("n") >= F.size(x["t"]) * low) & (F.col("n") <= F.size(x["t"]) / low))).alias("x"))
+    dice = 2.0 * F.size(F.array_intersect("g", "x.t")) / (F.col("n") + F.size("x.t"))
+    met = met.select("doc_id", "tk", F.col("x.licence").alias("licence"), dice.alias("dice")).where(F.col("dice") >= threshold)
+    # the highest coefficient, then the least name: two maxima that both combine map-side
+    best = met.groupBy("doc_id", "tk", "licence").agg(F.max("dice").alias("dice")).groupBy("doc_id", "tk").agg(F.max("dice").alias("dice"), F.min_by("licence", F.struct(-F.col("dice"), "licence")).alias("licence"))
+    best = best.select(F.col("doc_id").alias("d2"), F.col("tk").alias("t2"), "licence", "dice")
+    keyed = rows.select("doc_id", F.xxhash64("text").alias("tk"))
+    return keyed.join(best, F.col("doc_id").eqNullSafe(F.col("d2")) & (F.col("tk") == F.col("t2")), "left").select("doc_id", "licence", "dice")
