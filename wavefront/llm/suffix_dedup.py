@@ -32,7 +32,7 @@ from wavefront.session import cut
 GRAM = 160
 WINDOW = LENGTH - GRAM + 1
 PIECE = 1 << 19
-BLOCK_BYTES = 2 << 20
+BLOCK_BYTES = 1 << 20
 BUCKET_RUNS = 512
 _LOW = np.uint64((1 << 20) - 1)
 
@@ -162,14 +162,23 @@ def _sorted_buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatc
 
 def _strings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Slices -> a row for each string: its 128-bit key, the slice's weight and where it starts."""
+    names = ["k1", "k2", "weight", "doc_id", "tk", "s"]
+
+    def made(rows: list[tuple]) -> pa.RecordBatch:
+        n = [len(text) - LENGTH + 1 for *_, text in rows]
+        key = np.frombuffer(b"".join(xxhash.xxh3_128_digest(text[s : s + LENGTH]) for (*_, text), m in zip(rows, n, strict=True) for s in range(m)), "<i8").reshape(-1, 2)
+        each = np.repeat(np.arange(len(rows)), n)
+        take = pa.array(each)
+        columns = [pa.array([r[k] for r in rows], pa.int64()).take(take) for k in range(3)]
+        start = np.repeat([r[3] >> 16 for r in rows], n) + np.arange(len(each)) - np.repeat(np.cumsum(n) - n, n)
+        return pa.RecordBatch.from_arrays([pa.array(key[:, 0].copy()), pa.array(key[:, 1].copy()), *columns, pa.array(start, pa.int64())], names=names)
+
     for batch in batches:
-        out: list[tuple] = []
-        for weight, doc, tk, loc, text in zip(*(batch.column(k).to_pylist() for k in range(5)), strict=True):
-            for s in range(len(text) - LENGTH + 1):
-                a, b = np.frombuffer(xxhash.xxh3_128_digest(text[s : s + LENGTH]), "<i8").tolist()
-                out.append((a, b, weight, doc, tk, (loc >> 16) + s))
-        names = ["k1", "k2", "weight", "doc_id", "tk", "s"]
-        yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in (zip(*out, strict=True) if out else [[]] * 6)], names=names)
+        for at in range(0, batch.num_rows, 200):
+            part = batch.slice(at, 200)
+            rows = list(zip(*(part.column(k).to_pylist() for k in range(5)), strict=True))
+            if rows:
+                yield made(rows)
 
 
 def _cut_texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
