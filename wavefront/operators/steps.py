@@ -1,101 +1,88 @@
-"""The three operators of the frontier loop, each in several dialects.
+"""The three operators of the frontier loop, each in several dialects, as SQL text over named tables.
 
-Tables: visited ``(qid, nid, d, p, f, *rest)`` keyed by (qid, nid) with sign f 0 open, 1 closed, 2 active; edges
+Text, because a round is then one statement: the loop sends one string where a chain of column calls would send
+hundreds. Tables: visited ``(qid, nid, d, p, f, *rest)`` keyed by (qid, nid) with sign f 0 open, 1 closed, 2 active; edges
 ``(fid, tid, cost)`` with an optional ``pid``, the neighbour of the far end inside a segment; candidates
 ``(qid, nid, cost, parent)``. Ties go to the least parent, so all dialects agree row by row.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
-from pyspark.sql import functions as F
+from collections.abc import Sequence
+
+from pyspark.sql import DataFrame
 
 OPEN, CLOSED, ACTIVE = 0, 1, 2
 EXPANDS = ("argmin", "window", "aggjoin")
 MERGES = ("single", "two_step", "algebra")
+RULES = {
+    "one": "nid = mid",
+    "level": "d = level",
+    "band": "(d <= bound or d = level)",
+    "build": "(d < bound or d = level)",
+    "all": "true",
+}
 
 
-def rule(kind: str, d: Column, level: Column, nid: Column, mid: Column | None = None, bound: Column | None = None) -> Column:
-    """Which open nodes join the frontier: ``one`` node ``mid``, the least ``level``, a ``band`` up to ``bound``
-    (inclusive), a ``build`` band below it, or ``all``."""
-    if kind == "one":
-        return nid == mid
-    if kind == "level":
-        return d == level
-    if kind == "band":
-        return (d <= bound) | (d == level)
-    if kind == "build":
-        return (d < bound) | (d == level)
-    if kind == "all":
-        return F.lit(True)
-    raise ValueError(kind)
+def neighbours_sql(frontier: str, edges: str, parent: str = "fid", limit: float | None = None, prune: bool = False) -> str:
+    """Every candidate of the frontier. ``prune`` wants columns ``other`` and ``best`` in it: a candidate that cannot
+    beat the best path known, given the other side's level, goes before any shuffle."""
+    tests = ([f"v.d + e.cost <= {limit}"] if limit is not None else []) + (["(v.best is null or v.other is null or v.d + e.cost + v.other < v.best)"] if prune else [])
+    where = f" where {' and '.join(tests)}" if tests else ""
+    return f"select v.qid, e.tid as nid, v.d + e.cost as cost, e.{parent} as parent from {frontier} v join {edges} e on v.nid = e.fid{where}"
 
 
-def select_frontier(visited: DataFrame, kind: str, bound: float | None = None) -> DataFrame:
-    """Frontier of a stand-alone visited table, a level found for each qid."""
-    is_open = visited.where(F.col("f") == OPEN)
-    if kind == "all":
-        return is_open
-    if kind == "one":
-        least = is_open.groupBy("qid").agg(F.min(F.struct("d", "nid")).alias("m")).select("qid", F.col("m.nid").alias("nid"))
-        return is_open.join(F.broadcast(least), ["qid", "nid"], "left_semi")
-    least = is_open.groupBy("qid").agg(F.min("d").alias("level"))
-    return is_open.join(F.broadcast(least), "qid").where(rule(kind, F.col("d"), F.col("level"), F.col("nid"), bound=F.lit(bound))).drop("level")
-
-
-def neighbours(frontier: DataFrame, edges: DataFrame, limit: float | None = None, keep: list[str] | None = None) -> DataFrame:
-    """Frontier joined with its edges: every candidate, before the cheapest is chosen."""
-    parent = F.col("e.pid") if "pid" in edges.columns else F.col("e.fid")
-    cost = F.col("v.d") + F.col("e.cost")
-    near = frontier.alias("v").join(edges.alias("e"), F.col("v.nid") == F.col("e.fid"))
-    out = near.select("v.qid", F.col("e.tid").alias("nid"), cost.alias("cost"), parent.alias("parent"), *(F.col(f"v.{c}") for c in keep or ()))
-    return out if limit is None else out.where(F.col("cost") <= limit)
-
-
-def cheapest(cand: DataFrame, dialect: str = "argmin") -> DataFrame:
+def cheapest_sql(cand: str, dialect: str = "argmin") -> str:
     """One candidate for each (qid, nid): the least cost, then the least parent."""
     if dialect == "argmin":
-        best = cand.groupBy("qid", "nid").agg(F.min(F.struct("cost", "parent")).alias("m"))
-        return best.select("qid", "nid", "m.cost", "m.parent")
+        return f"select qid, nid, m.cost as cost, m.parent as parent from (select qid, nid, min(struct(cost, parent)) as m from {cand} group by qid, nid)"
     if dialect == "window":
-        order = Window.partitionBy("qid", "nid").orderBy("cost", "parent")
-        return cand.withColumn("rn", F.row_number().over(order)).where("rn = 1").select("qid", "nid", "cost", "parent")
+        return f"select qid, nid, cost, parent from (select *, row_number() over (partition by qid, nid order by cost, parent) as place from {cand}) where place = 1"
     if dialect == "aggjoin":
-        least = cand.groupBy("qid", "nid").agg(F.min("cost").alias("cost"))
-        return cand.join(least, ["qid", "nid", "cost"]).groupBy("qid", "nid", "cost").agg(F.min("parent").alias("parent")).select("qid", "nid", "cost", "parent")
+        least = f"select qid, nid, min(cost) as cost from {cand} group by qid, nid"
+        return f"select x.qid, x.nid, x.cost, min(x.parent) as parent from {cand} x join ({least}) y on x.qid = y.qid and x.nid = y.nid and x.cost = y.cost group by x.qid, x.nid, x.cost"
     raise ValueError(dialect)
 
 
-def expand(frontier: DataFrame, edges: DataFrame, dialect: str = "argmin", limit: float | None = None) -> DataFrame:
-    return cheapest(neighbours(frontier, edges, limit), dialect)
+_BETTER = "(n.cost is not null and (v.d is null or n.cost < v.d))"
+_NEARER = "(n.cost is not null and n.cost = v.d and n.parent < v.p and v.d > 0)"
 
 
-def merge(visited: DataFrame, cand: DataFrame, dialect: str = "single") -> DataFrame:
+def merge_sql(visited: str, cand: str, dialect: str = "single", rest: Sequence[str] = ()) -> str:
     """Visited with candidates merged in: a lower label wins and re-opens its node, an equal one leaves the row as it
-    is but for a smaller parent, unseen nodes come in open. Columns beyond (qid, nid, d, p, f) stay as they are."""
-    rest = [c for c in visited.columns if c not in ("qid", "nid", "d", "p", "f")]
-    new = cand.select("qid", "nid", F.col("cost").alias("nd"), F.col("parent").alias("np"))
-    better = F.col("nd").isNotNull() & (F.col("d").isNull() | (F.col("nd") < F.col("d")))
-    nearer = F.col("nd").isNotNull() & (F.col("nd") == F.col("d")) & (F.col("np") < F.col("p")) & (F.col("d") > 0)
-    merged = (
-        F.when(better, F.col("nd")).otherwise(F.col("d")).alias("d"),
-        F.when(better | nearer, F.col("np")).otherwise(F.col("p")).alias("p"),
-        F.when(better, F.lit(OPEN).cast("byte")).otherwise(F.col("f")).alias("f"),
-    )
-    columns = ["qid", "nid", "d", "p", "f", *rest]
+    is but for a smaller parent, unseen nodes come in open. Columns in ``rest`` stay as they are."""
+    labels = f"case when {_BETTER} then n.cost else v.d end as d, case when {_BETTER} or {_NEARER} then n.parent else v.p end as p, case when {_BETTER} then cast({OPEN} as tinyint) else v.f end as f"
+    own = "".join(f", v.{c}" for c in rest)
+    nulls = "".join(f", null as {c}" for c in rest)
+    match = "v.qid = n.qid and v.nid = n.nid"
+    fresh = f"n.qid, n.nid, n.cost as d, n.parent as p, cast({OPEN} as tinyint) as f{nulls}"
     if dialect == "single":
-        return visited.join(new, ["qid", "nid"], "full_outer").select("qid", "nid", *merged, *rest)
-    fresh = lambda df: df.select("qid", "nid", F.col("nd").alias("d"), F.col("np").alias("p"), F.lit(OPEN).cast("byte").alias("f"), *(F.lit(None).cast(visited.schema[c].dataType).alias(c) for c in rest))
+        return f"select coalesce(v.qid, n.qid) as qid, coalesce(v.nid, n.nid) as nid, {labels}{own} from {visited} v full join {cand} n on {match}"
     if dialect == "two_step":
-        updated = visited.join(new, ["qid", "nid"], "left").select("qid", "nid", *merged, *rest)
-        return updated.unionByName(fresh(new.join(visited, ["qid", "nid"], "left_anti")))
+        updated = f"select v.qid, v.nid, {labels}{own} from {visited} v left join {cand} n on {match}"
+        return f"{updated} union all select {fresh} from {cand} n left anti join {visited} v on {match}"
     if dialect == "algebra":
-        both = visited.join(new, ["qid", "nid"])
-        worse_old = both.where(better | nearer).select(*columns)
-        worse_new = both.where(~(better | nearer)).select("qid", "nid", "nd", "np")
-        kept_old, kept_new = visited.select(*columns).exceptAll(worse_old), new.exceptAll(worse_new)
+        columns = "".join(f", {c}" for c in ("p", "f", *rest))
+        old = f"select v.qid, v.nid, v.d, v.p, v.f{own} from {visited} v join {cand} n on {match} where {_BETTER} or {_NEARER}"
+        new = f"select n.qid, n.nid, n.cost, n.parent from {visited} v join {cand} n on {match} where not ({_BETTER} or {_NEARER})"
         # a kept candidate takes the sign, and the columns beyond the label, of the row it replaces
-        sign = F.when(F.col("o.d").isNull() | (F.col("nd") < F.col("o.d")), F.lit(OPEN).cast("byte")).otherwise(F.col("o.f"))
-        taken = kept_new.alias("n").join(worse_old.alias("o"), ["qid", "nid"], "left").select("qid", "nid", F.col("nd").alias("d"), F.col("np").alias("p"), sign.alias("f"), *(F.col(f"o.{c}") for c in rest))
-        return kept_old.unionByName(taken)
+        taken = f"select n.qid, n.nid, n.cost as d, n.parent as p, case when v.d is null or n.cost < v.d then cast({OPEN} as tinyint) else v.f end as f{own} from (select qid, nid, cost, parent from {cand} except all {new}) n left join {visited} v on {match}"
+        return f"(select qid, nid, d{columns} from {visited} except all {old}) union all {taken}"
     raise ValueError(dialect)
+
+
+def select_frontier(visited: DataFrame, kind: str, bound: float | None = None) -> DataFrame:
+    """Frontier of a stand-alone visited table: a level, or one node, is found for each qid."""
+    levels = "select qid as q, min(d) as level, min(struct(d, nid)).nid as mid from {v} where f = 0 group by qid"
+    test = RULES[kind].replace("bound", "null" if bound is None else str(bound))
+    return visited.sparkSession.sql(f"select /*+ broadcast(l) */ {{v}}.* from {{v}} join ({levels}) l on qid = l.q where f = 0 and {test}", v=visited)
+
+
+def expand(frontier: DataFrame, edges: DataFrame, dialect: str = "argmin", limit: float | None = None, prune: bool = False) -> DataFrame:
+    near = neighbours_sql("{v}", "{e}", "pid" if "pid" in edges.columns else "fid", limit, prune)
+    return frontier.sparkSession.sql(f"with cand as ({near}) {cheapest_sql('cand', dialect)}", v=frontier, e=edges)
+
+
+def merge(visited: DataFrame, cand: DataFrame, dialect: str = "single") -> DataFrame:
+    rest = [c for c in visited.columns if c not in ("qid", "nid", "d", "p", "f")]
+    return visited.sparkSession.sql(merge_sql("{v}", "{n}", dialect, rest), v=visited, n=cand)

@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import contextlib
 import time
+import uuid
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -17,7 +18,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from wavefront.operators.steps import ACTIVE, CLOSED, OPEN, cheapest, merge, neighbours, rule
+from wavefront.operators.steps import ACTIVE, CLOSED, OPEN, RULES, cheapest_sql, merge_sql, neighbours_sql
 from wavefront.session import conf, cut, shuffle_width
 
 ROWS_A_PARTITION = 500_000
@@ -65,28 +66,39 @@ def rounds_conf(spark: SparkSession, rows: int, width: int | None = None) -> Ite
         yield
 
 
-def _control_frame(spark: SparkSession, control: list[dict], nid: T.DataType, cost: T.DataType) -> DataFrame:
-    kinds = [("qid", T.LongType()), ("dir", T.StringType()), ("level", cost), ("other", cost), ("best", cost), ("bound", cost), ("mid", nid)]
-    rows = [tuple(c.get(n) for n, _ in kinds) for c in control]
-    return spark.createDataFrame(rows, T.StructType([T.StructField(n, k) for n, k in kinds]))
+INLINE_QUERIES = 400
+_CONTROL = ("qid", "dir", "level", "other", "best", "bound", "mid")
 
 
-def _survey(state: DataFrame, ends: DataFrame, one: bool) -> dict[int, dict]:
-    """One aggregate over the state: levels, open counts, best sum and the ends' labels for each query."""
-    is_f, is_b = F.col("f") == OPEN, F.col("b") == OPEN
-    wanted = [
-        F.min(F.when(is_f, F.col("d2s"))).alias("lf"),
-        F.min(F.when(is_b, F.col("d2t"))).alias("lb"),
-        F.count(F.when(is_f, True)).alias("nf"),
-        F.count(F.when(is_b, True)).alias("nb"),
-        F.min(F.col("d2s") + F.col("d2t")).alias("best"),
-        F.count(F.lit(1)).alias("visited"),
-    ]
-    if one:
-        wanted += [F.min(F.when(is_f, F.struct("d2s", "nid"))).alias("mf"), F.min(F.when(is_b, F.struct("d2t", "nid"))).alias("mb")]
-    at_target = F.col("nid") == F.col("t")
-    wanted += [F.min(F.when(at_target, F.col("d2s"))).alias("dt"), F.max(F.when(at_target, F.col("f"))).alias("ft")]
-    return {r["qid"]: r.asDict(recursive=True) for r in state.join(F.broadcast(ends), "qid").groupBy("qid").agg(*wanted).collect()}
+def _literal(x: object) -> str:
+    if x is None:
+        return "null"
+    if isinstance(x, str):
+        escaped = x.replace("\\", "\\\\").replace("'", "\\'")
+        return f"'{escaped}'"
+    return repr(x)
+
+
+def _control_sql(spark: SparkSession, control: list[dict], nid: T.DataType, cost: T.DataType, view: str) -> str:
+    """The control rows as a table of literals, or as a view where there are many."""
+    kinds = ("bigint", "string", *[cost.simpleString()] * 4, nid.simpleString())
+    if len(control) > INLINE_QUERIES:
+        types = (T.LongType(), T.StringType(), cost, cost, cost, cost, nid)
+        rows = [tuple(c[n] for n in _CONTROL) for c in control]
+        spark.createDataFrame(rows, T.StructType([T.StructField(n, k) for n, k in zip(_CONTROL, types, strict=True)])).createOrReplaceTempView(view)
+        return f"select * from {view}"
+    rows = ", ".join("(" + ", ".join(_literal(c[n]) for n in _CONTROL) + ")" for c in control)
+    return f"select {', '.join(f'cast({n} as {k}) as {n}' for n, k in zip(_CONTROL, kinds, strict=True))} from values {rows} as t({', '.join(_CONTROL)})"
+
+
+def _survey(spark: SparkSession, state: str, ends: str, one: bool) -> dict[int, dict]:
+    """One aggregate over the state: levels, open counts, best sum and the target's label for each query."""
+    mids = ", min(case when f = 0 then struct(d2s, nid) end) as mf, min(case when b = 0 then struct(d2t, nid) end) as mb" if one else ""
+    rows = spark.sql(
+        f"select /*+ broadcast(e) */ s.qid, min(case when f = 0 then d2s end) as lf, min(case when b = 0 then d2t end) as lb, count(case when f = 0 then 1 end) as nf, count(case when b = 0 then 1 end) as nb, "
+        f"min(d2s + d2t) as best, count(1) as visited, min(case when nid = e.t then d2s end) as dt, max(case when nid = e.t then f end) as ft{mids} from {state} s join {ends} e on s.qid = e.qid group by s.qid"
+    )
+    return {r["qid"]: r.asDict(recursive=True) for r in rows.collect()}
 
 
 def search(graph: Graph, pairs: DataFrame, kind: str, sides: int = 2, threshold: float | None = None, opts: Options | None = None, radius: float | None = None, timed: bool = False) -> Result:
@@ -116,12 +128,18 @@ def search(graph: Graph, pairs: DataFrame, kind: str, sides: int = 2, threshold:
         state = state.unionByName(label("t", "d2t", "p2t", "b", "d2s", "p2s", "f").select(*columns))
     retired: list[DataFrame] = []
     control: dict[int, dict] = {q: {"kf": 0, "kb": 0, "af": 0, "ab": 0} for q in live}
+    tag = f"wavefront_{uuid.uuid4().hex[:12]}"
+    views = {"f": (f"{tag}_out", "pid" if "pid" in graph.out.columns else "fid"), "b": (f"{tag}_back", "pid" if "pid" in graph.back.columns else "fid")}
+    graph.out.createOrReplaceTempView(views["f"][0])
+    graph.back.createOrReplaceTempView(views["b"][0])
+    ends.createOrReplaceTempView(f"{tag}_ends")
     with rounds_conf(spark, edge_rows, opts.width):
         state = cut(state)
         done_since: list[int] = []
         for number in range(1, opts.max_rounds + 2):
             began = time.time()
-            stats = _survey(state, ends, kind == "one") if live else {}
+            state.createOrReplaceTempView(f"{tag}_state")
+            stats = _survey(spark, f"{tag}_state", f"{tag}_ends", kind == "one") if live else {}
             seconds["statistics"] += time.time() - began
             turn: list[dict] = []
             for q in list(live):
@@ -161,11 +179,16 @@ def search(graph: Graph, pairs: DataFrame, kind: str, sides: int = 2, threshold:
                 retired.append(cut(state.join(F.broadcast(gone), "qid", "left_semi")))
                 state = state.join(F.broadcast(gone), "qid", "left_anti")
                 done_since = []
+                state.createOrReplaceTempView(f"{tag}_state")
             began = time.time()
-            state = cut(_round(graph, state, _control_frame(spark, turn, nid_type, cost_type), kind, opts, radius, {c["dir"] for c in turn}, sum(stats[c["qid"]]["n" + c["dir"]] for c in turn)))
+            used = {w: views[w] for w in ("f", "b") if any(c["dir"] == w for c in turn)}
+            few = sum(stats[c["qid"]]["n" + c["dir"]] for c in turn) <= BROADCAST_FRONTIER
+            state = cut(spark.sql(_round_sql(f"{tag}_state", _control_sql(spark, turn, nid_type, cost_type, f"{tag}_control"), used, kind, opts, radius, few)))
             spent = time.time() - began
             seconds["expansion"] += spent
             log = [(*r[:7], spent) if r[1] == number else r for r in log]
+    for end in ("out", "back", "ends", "state", "control"):
+        spark.catalog.dropTempView(f"{tag}_{end}")
     visited = state
     for part in retired:
         visited = visited.unionByName(part)
@@ -187,27 +210,22 @@ def _direction(how: str, s: dict, c: dict) -> str:
     return "f" if s["nf"] <= s["nb"] else "b"
 
 
-def _round(graph: Graph, state: DataFrame, control: DataFrame, kind: str, opts: Options, radius: float | None, ways: set[str], open_rows: int) -> DataFrame:
-    """State after one round: each query's rows are seen from its side, merged, and turned back."""
-    forward = F.col("dir").isNull() | (F.col("dir") == "f")
-    pick = lambda a, b: F.when(forward, F.col(a)).otherwise(F.col(b))
-    seen = state.join(F.broadcast(control), "qid", "left").select("qid", "nid", pick("d2s", "d2t").alias("d"), pick("p2s", "p2t").alias("p"), pick("f", "b").alias("f0"), pick("d2t", "d2s").alias("od"), pick("p2t", "p2s").alias("op"), pick("b", "f").alias("of"), "dir", "level", "other", "best", "bound", "mid")
-    chosen = F.col("dir").isNotNull() & (F.col("f0") == OPEN) & rule(kind, F.col("d"), F.col("level"), F.col("nid"), F.col("mid"), F.col("bound"))
-    seen = seen.withColumn("f", F.when(chosen, F.lit(ACTIVE).cast("byte")).otherwise(F.col("f0"))).drop("f0")
-    frontier = seen.where(F.col("f") == ACTIVE).select("qid", "nid", "d", "dir", "other", "best")
-    parts = []
-    for way, table in (("f", graph.out), ("b", graph.back)):
-        if way in ways:
-            own = frontier.where(F.col("dir") == way)
-            near = neighbours(F.broadcast(own) if open_rows <= BROADCAST_FRONTIER else own, table, radius, ["other", "best"])
-            if opts.prune:
-                near = near.where(F.col("best").isNull() | F.col("other").isNull() | (F.col("cost") + F.col("other") < F.col("best")))
-            parts.append(near.select("qid", "nid", "cost", "parent"))
-    cand = parts[0] if len(parts) == 1 else parts[0].unionByName(parts[1])
-    closed = seen.withColumn("f", F.when(F.col("f") == ACTIVE, F.lit(CLOSED).cast("byte")).otherwise(F.col("f"))).select("qid", "nid", "d", "p", "f", "od", "op", "of")
-    after = merge(closed, cheapest(cand, opts.expand), opts.merge).join(F.broadcast(control.select("qid", "dir")), "qid", "left")
-    turned = lambda a, b: F.when(forward, F.col(a)).otherwise(F.col(b))
-    return after.select("qid", "nid", turned("d", "od").alias("d2s"), turned("p", "op").alias("p2s"), turned("f", "of").alias("f"), turned("od", "d").alias("d2t"), turned("op", "p").alias("p2t"), turned("of", "f").alias("b"))
+def _round_sql(state: str, control: str, tables: dict[str, tuple[str, str]], kind: str, opts: Options, radius: float | None, few: bool) -> str:
+    """The statement of one round: each query's rows are seen from its side, merged, and turned back."""
+    pick = lambda a, b: f"case when c.dir = 'b' then {b} else {a} end"
+    seen = (
+        f"select /*+ broadcast(c) */ s.qid, s.nid, {pick('d2s', 'd2t')} as d, {pick('p2s', 'p2t')} as p, {pick('f', 'b')} as f0, {pick('d2t', 'd2s')} as od, {pick('p2t', 'p2s')} as op, "
+        f"{pick('b', 'f')} as of, c.dir, c.level, c.other, c.best, c.bound, c.mid from {state} s left join c on s.qid = c.qid"
+    )
+    flagged = f"select *, case when dir is not null and f0 = {OPEN} and {RULES[kind]} then cast({ACTIVE} as tinyint) else f0 end as f from seen"
+    near = [f"(select {'/*+ broadcast(v) */ ' if few else ''}{neighbours_sql(f'front_{way}', table, parent, radius, opts.prune)[7:]})" for way, (table, parent) in tables.items()]
+    fronts = ", ".join(f"front_{way} as (select qid, nid, d, other, best from flagged where f = {ACTIVE} and dir = '{way}')" for way in tables)
+    turn = lambda a, b: f"case when c.dir = 'b' then {b} else {a} end"
+    return (
+        f"with c as ({control}), seen as ({seen}), flagged as ({flagged}), {fronts}, cand as ({' union all '.join(near)}), new as ({cheapest_sql('cand', opts.expand)}), "
+        f"old as (select qid, nid, d, p, case when f = {ACTIVE} then cast({CLOSED} as tinyint) else f end as f, od, op, of from flagged), merged as ({merge_sql('old', 'new', opts.merge, ('od', 'op', 'of'))}) "
+        f"select /*+ broadcast(c) */ m.qid, m.nid, {turn('d', 'od')} as d2s, {turn('p', 'op')} as p2s, {turn('f', 'of')} as f, {turn('od', 'd')} as d2t, {turn('op', 'p')} as p2t, {turn('of', 'f')} as b from merged m left join c on m.qid = c.qid"
+    )
 
 
 def dijkstra(g: Graph, pairs: DataFrame, opts: Options | None = None) -> Result:
