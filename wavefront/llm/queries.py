@@ -44,7 +44,7 @@ def op5_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return suffix_dedup.remove_repeats(_documents(spark, sf_dir)).drop("kept", "tk")
+    return suffix_dedup.remove_repeats(_documents(spark, sf_dir), keep=False).drop("kept")
 
 
 def op7_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -20,18 +20,20 @@ import hashlib
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from wavefront.llm.bytehash import mix, prefix_sums, range_hash, text_buffer
+from wavefront.llm.bitmap import marked, marks
+from wavefront.llm.bytehash import mix, prefix_sums, range_hash, spans_of_bytes, text_buffer
 from wavefront.llm.suffix_order import LENGTH, repeated_starts
 from wavefront.session import cut
 
 GRAM = 160
 WINDOW = LENGTH - GRAM + 1
-PIECE = 1 << 19
+PIECE = 1 << 18
 BLOCK_BYTES = 1 << 20
 BUCKET_RUNS = 512
 _LOW = np.uint64((1 << 20) - 1)
@@ -88,7 +90,7 @@ def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         data, offsets = text_buffer(batch.column(2))
         row, first, last, anchor, gram = anchor_runs(data, offsets)
-        whole = data.tobytes()
+        whole = memoryview(data)
         lo, hi = (offsets[row] + first).tolist(), (offsets[row] + last + LENGTH).tolist()
         key = np.fromiter((xxhash.xxh3_64_intdigest(whole[a:b]) for a, b in zip(lo, hi, strict=True)), np.uint64, len(lo))
         loc = (first << 16) | ((last - first) << 8) | (anchor - first)
@@ -181,33 +183,25 @@ def _strings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 yield made(rows)
 
 
-def _cut_texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        data, offsets = text_buffer(batch.column(1))
-        whole = data.tobytes()
-        spans = batch.column(2)
-        n_bytes, n_removed, n_spans, sha, kept = [], [], [], [], []
-        for k in range(batch.num_rows):
-            text = whole[offsets[k] : offsets[k + 1]]
-            gone: list[list[int]] = []
-            for s, e in sorted((x["s"], x["e"] + LENGTH) for x in spans[k].as_py() or ()):
-                if gone and s <= gone[-1][1]:
-                    gone[-1][1] = max(gone[-1][1], e)
-                else:
-                    gone.append([s, e])
-            left = text
-            if gone:
-                edges = [0, *(x for g in gone for x in g), len(text)]
-                left = b"".join(text[a:b] for a, b in zip(edges[::2], edges[1::2], strict=True))
-            n_bytes.append(len(text))
-            n_removed.append(len(text) - len(left))
-            n_spans.append(len(gone))
-            sha.append(hashlib.sha256(left).hexdigest())
-            kept.append(left)
-        yield pa.RecordBatch.from_arrays(
-            [batch.column(0), pa.array(n_bytes, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(n_spans, pa.int64()), pa.array(sha, pa.string()), pa.array(kept, pa.binary()), batch.column(3)],
-            names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept", "tk"],
-        )
+def _cut_texts(keep: bool):
+    """Rows are cut a few megabytes at a time, so a batch's texts and what is left of them are never held at once."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.binary()]
+        for batch in batches:
+            data, offsets = text_buffer(batch.column(1))
+            view, spans = memoryview(data), batch.column(2)
+            for i, j in spans_of_bytes(offsets, 2 << 20):
+                rows = []
+                for k in range(i, j):
+                    text = bytes(view[offsets[k] : offsets[k + 1]])
+                    own = spans[k]
+                    left, n = cut_text(text, [(x["s"], x["e"]) for x in own.as_py()]) if own.is_valid else (text, 0)
+                    rows.append((len(text), len(text) - len(left), n, hashlib.sha256(left).hexdigest(), left if keep else None))
+                columns = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)]
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), *columns], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"])
+
+    return run
 
 
 def repeated_intervals(docs: DataFrame) -> DataFrame:
@@ -227,8 +221,9 @@ def repeated_intervals(docs: DataFrame) -> DataFrame:
     mixed = cut(texts.groupBy("gram").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("gram", (F.col("n") > BUCKET_RUNS).alias("many")))
     wanted = texts.join(mixed.hint("merge"), "gram").select("doc_id", "tk", F.struct("gram", "weight", "many", "loc").alias("w"))
     by_doc = wanted.groupBy("doc_id", "tk").agg(F.collect_list("w").alias("w"))
-    by_doc = by_doc.select(F.col("doc_id").alias("d2"), F.col("tk").alias("t2"), "w")
-    joined = docs.select("doc_id", "tk", "text").join(by_doc.hint("merge"), F.col("doc_id").eqNullSafe(F.col("d2")) & (F.col("tk") == F.col("t2")))
+    by_doc = cut(by_doc.select(F.col("doc_id").alias("d2"), F.col("tk").alias("t2"), "w"))
+    holders = marked(docs.select("doc_id", "tk", "text"), marks(by_doc, "t2"), "tk").where("hit")
+    joined = holders.select("doc_id", "tk", "text").join(by_doc.hint("merge"), F.col("doc_id").eqNullSafe(F.col("d2")) & (F.col("tk") == F.col("t2")))
     slices = joined.select("doc_id", "tk", "text", "w").mapInArrow(_slices, _SLICE)
     few = slices.where("not many").select("gram", "weight", "doc_id", "tk", "loc", "bytes").repartition("gram").sortWithinPartitions("gram")
     from_few = few.mapInArrow(_sorted_buckets, "doc_id long, tk long, s long, e long")
@@ -239,19 +234,61 @@ def repeated_intervals(docs: DataFrame) -> DataFrame:
     return whole.unionByName(from_few).unionByName(from_many)
 
 
-def remove_repeats(docs: DataFrame) -> DataFrame:
+def remove_repeats(docs: DataFrame, keep: bool = True) -> DataFrame:
     """Cut every byte of ``docs(doc_id long, text string, ...)`` that lies in a 400-byte string starting twice or more.
 
-    Returns ``doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept binary`` and ``tk`` (a 64-bit key of the text), a
-    row for each input row. Strings never cross documents and are judged on the input. Null and short texts lose
+    Returns ``doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept binary``, a row for each input row. Strings never cross documents and are judged on the input. Null and short texts lose
     nothing; rows that repeat a document repeat its strings; a null doc_id is a document like any other. Other
-    columns are ignored; an empty table gives an empty result. ``kept`` may not be valid UTF-8 where a cut splits a
+    columns are ignored; an empty table gives an empty result. ``kept`` is null unless asked for by ``keep`` and may not be valid UTF-8 where a cut splits a
     character.
     """
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("tk"))
-    spans = repeated_intervals(docs).groupBy("doc_id", "tk").agg(F.collect_list(F.struct("s", "e")).alias("spans"))
-    spans = spans.select(F.col("doc_id").alias("d2"), F.col("tk").alias("t2"), "spans")
-    joined = docs.join(spans.hint("merge"), F.col("doc_id").eqNullSafe(F.col("d2")) & (F.col("tk") == F.col("t2")), "left")
-    out = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary, tk long"
-    return joined.select("doc_id", "text", "spans", "tk").mapInArrow(_cut_texts, out)
+    rows = with_spans(docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text")))
+    out = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary"
+    return rows.select("doc_id", "text", SPANS).mapInArrow(_cut_texts(keep), out)
+
+
+SPANS = "_repeated"
+
+
+def with_spans(docs: DataFrame) -> DataFrame:
+    """``docs`` with a column ``SPANS`` of string-start intervals (s, e) that repeat elsewhere, null where there are none.
+
+    Rows without a repeat are told by a bit map and stay where they are; only the others meet their spans in a join.
+    """
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    keyed = docs.withColumn("_tk", F.xxhash64(text))
+    slim = keyed.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("_tk").alias("tk"), text.alias("text"))
+    spans = repeated_intervals(slim).groupBy("doc_id", "tk").agg(F.collect_list(F.struct("s", "e")).alias(SPANS))
+    spans = cut(spans.select(F.col("doc_id").alias("_d2"), F.col("tk").alias("_t2"), SPANS))
+    split = marked(keyed, marks(spans, "_t2"), "_tk")
+    names = [f"`{c}`" for c in docs.columns]
+    alone = split.where("not hit").select(*names, F.lit(None).cast("array<struct<s:bigint,e:bigint>>").alias(SPANS))
+    met = split.where("hit").join(spans.hint("merge"), F.col("doc_id").cast("long").eqNullSafe(F.col("_d2")) & (F.col("_tk") == F.col("_t2")), "left")
+    return alone.unionByName(met.select(*names, SPANS))
+
+
+def cut_text(text: bytes, spans: list[tuple[int, int]]) -> tuple[bytes, int]:
+    """What is left of ``text`` without the strings that start in ``spans``, and the number of runs cut out."""
+    gone: list[list[int]] = []
+    for s, e in sorted((s, e + LENGTH) for s, e in spans):
+        if gone and s <= gone[-1][1]:
+            gone[-1][1] = max(gone[-1][1], e)
+        else:
+            gone.append([s, e])
+    edges = [0, *(x for g in gone for x in g), len(text)]
+    return b"".join(text[a:b] for a, b in zip(edges[::2], edges[1::2], strict=True)), len(gone)
+
+
+def _without(texts: pd.Series, spans: pd.Series) -> pd.Series:
+    return pd.Series([cut_text(t.encode(), [(x["s"], x["e"]) for x in own])[0].decode("utf-8", "ignore") for t, own in zip(texts, spans, strict=True)], dtype="object")
+
+
+def without_repeats(docs: DataFrame) -> DataFrame:
+    """``docs`` with repeated passages cut from ``text`` (halves of characters at a cut go too) and n_chars, if any, set anew."""
+    rows = with_spans(docs)
+    rest = rows.where(F.col(SPANS).isNull()).drop(SPANS)
+    hit = rows.where(F.col(SPANS).isNotNull()).withColumn("text", F.pandas_udf(_without, "string")(F.col("text").cast("string"), F.col(SPANS))).drop(SPANS)
+    if "n_chars" in docs.columns:
+        hit = hit.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
+    return rest.unionByName(hit.select(*(f"`{c}`" for c in docs.columns)))
