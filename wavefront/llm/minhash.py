@@ -21,6 +21,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from wavefront.llm.bitmap import marked, marks
 from wavefront.llm.bytehash import mix, prefix_sums, range_hash, spans_of_bytes, text_buffer
 from wavefront.llm.components import connected_components
 from wavefront.session import cut
@@ -190,3 +191,15 @@ def near_duplicates(docs: DataFrame, percent: int = 85) -> DataFrame:
     out = sig.join(labels.withColumnRenamed("node", "doc_id").hint("merge"), "doc_id", "left")
     one = F.coalesce(F.col("component"), F.col("doc_id"))
     return out.select("doc_id", "n_shingles", one.alias("component_id"), F.col("doc_id").eqNullSafe(one).alias("kept"))
+
+
+def one_of_each(docs: DataFrame, percent: int = 80) -> DataFrame:
+    """The rows of ``docs`` whose document is the least of its class, with their own columns.
+
+    Ids that go are told by a bit map first, so rows that stay for certain are not moved.
+    """
+    gone = cut(near_duplicates(docs, percent).where("not kept").select(F.col("doc_id").alias("_gone"), F.xxhash64("doc_id").alias("_gk")).distinct())
+    split = marked(docs.withColumn("_gk", F.xxhash64(F.col("doc_id").cast("long"))), marks(gone, "_gk"), "_gk")
+    names = [f"`{c}`" for c in docs.columns]
+    left = split.where("hit").join(gone.select("_gone").hint("merge"), F.col("doc_id").cast("long") == F.col("_gone"), "left_anti")
+    return split.where("not hit").select(*names).unionByName(left.select(*names))

@@ -73,11 +73,11 @@ def words_in(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text.cast("string"), F.lit(r"[^\x20\x09-\x0D]+")), F.lit(0)).cast("long")
 
 
-def mix(docs: DataFrame) -> DataFrame:
+def mixed(docs: DataFrame) -> DataFrame:
     """Take documents of ``docs(doc_id, text, source, ...)`` until each source meets its target.
 
-    Returns ``doc_id, size, source_size, target, taken, position, source, passes``, sorted by position, a row for
-    each input row. ``size`` counts words (null text: none). A source is read in an order fixed by a hash of its
+    Returns ``doc_id, size, source_size, target, taken, position, source, passes, place, start``, a row
+    for each input row. ``size`` counts words (null text: none). A source is read in an order fixed by a hash of its
     rows, whole passes first; the last pass stops at the target, within a document if need be, so ``taken`` (words,
     repeats counted) sums to the rounded target and never passes MOST_PASSES times the size. ``position`` is when
     the document is first due (null if it is never taken). The null source is a source, last in order; null or
@@ -104,5 +104,29 @@ def mix(docs: DataFrame) -> DataFrame:
     last = F.greatest(F.lit(0), F.least(F.col("size"), goal - passes * F.col("source_size") - F.col("start")))
     rows = rows.withColumn("taken", passes * F.col("size") + last)
     share = F.col("start") / F.col("target")
-    out = rows.select("doc_id", "size", "source_size", "target", F.col("taken").cast("long").alias("taken"), F.when(F.col("taken") > 0, due(share, F.col("place"))).alias("position"), "source", passes.alias("passes"), "place", "start")
-    return out.orderBy("position", "doc_id", "start")
+    return rows.select("doc_id", "size", "source_size", "target", F.col("taken").cast("long").alias("taken"), F.when(F.col("taken") > 0, due(share, F.col("place"))).alias("position"), "source", passes.alias("passes"), "place", "start")
+
+
+def mix(docs: DataFrame) -> DataFrame:
+    """``mixed`` without its helper columns, range-sorted by position."""
+    return mixed(docs).orderBy("position", "doc_id", "start").drop("place", "start")
+
+
+def training_order(docs: DataFrame) -> DataFrame:
+    """The rows of ``docs``, with their own columns, as often as the mix takes them and in training order.
+
+    A document taken in part counts as taken once more if half its words or more are; wordless documents carry no
+    demand and are not taken. Equal rows share what their numbers take.
+    """
+    m = mixed(docs)
+    copies = F.floor(F.col("taken") / F.col("size") + 0.5).cast("int")
+    m = m.where("size > 0").withColumn("_copies", copies).where("_copies > 0")
+    m = m.withColumn("_rank", F.row_number().over(Window.partitionBy("doc_id", "source", "size").orderBy("start")))
+    m = m.select(F.col("doc_id").alias("_d"), F.col("source").alias("_s"), F.col("size").alias("_z"), "_rank", "source_size", "target", "place", "start", F.explode(F.sequence(F.lit(0), F.col("_copies") - 1)).alias("_pass"))
+    m = m.withColumn("_position", due(F.least((F.col("start") + F.col("_pass") * F.col("source_size")) / F.col("target"), F.lit(1.0)), F.col("place")))
+    own = docs.withColumn("_size", words_in(F.col("text")))
+    twins = Window.partitionBy("_did", "_src", "_size").orderBy(F.xxhash64("text"))
+    keyed = own.withColumn("_did", F.col("doc_id").cast("long")).withColumn("_src", F.col("source").cast("string")).withColumn("_own", F.row_number().over(twins))
+    same = F.col("_did").eqNullSafe(F.col("_d")) & F.col("_src").eqNullSafe(F.col("_s")) & (F.col("_size") == F.col("_z")) & (F.col("_own") == F.col("_rank"))
+    names = [f"`{c}`" for c in docs.columns]
+    return keyed.join(m.hint("merge"), same).select(*names, "_position", "_d", "_pass").orderBy("_position", "_d", "_pass").select(*names)

@@ -16,9 +16,10 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 BITS = 18
@@ -165,3 +166,20 @@ def grade_documents(docs: DataFrame, labels: DataFrame, reject_at: float = REJEC
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     scored = texts.mapInArrow(_scored(model), "doc_id long, severity double, grade int")
     return scored.withColumn("toxic", F.col("severity") >= reject_at)
+
+
+def severity_column(model: Ordinal, text: Column) -> Column:
+    """The expected severity as a column, for rows that keep all their other columns."""
+    weights, cuts = model.weights.astype(np.float32), model.cuts
+
+    @F.pandas_udf("double")
+    def score(texts: pd.Series) -> pd.Series:
+        own = Ordinal(weights.astype(np.float64), cuts)
+        return pd.Series([own.severity(features(t or "")[0])[0] for t in texts], dtype="float64")
+
+    return score(text)
+
+
+def drop_toxic(docs: DataFrame, labels: DataFrame, reject_at: float = REJECT_AT, fit_rows: int = FIT_ROWS) -> DataFrame:
+    """The rows of ``docs`` below ``reject_at``, with their own columns; see ``grade_documents`` for odd rows."""
+    return docs.where(severity_column(fit_on(docs, labels, fit_rows), F.col("text").cast("string")) < reject_at)
