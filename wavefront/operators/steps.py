@@ -63,10 +63,16 @@ def merge_sql(visited: str, cand: str, dialect: str = "single", rest: Sequence[s
         return f"{updated} union all select {fresh} from {cand} n left anti join {visited} v on {match}"
     if dialect == "algebra":
         columns = "".join(f", {c}" for c in ("p", "f", *rest))
-        old = f"select v.qid, v.nid, v.d, v.p, v.f{own} from {visited} v join {cand} n on {match} where {_BETTER} or {_NEARER}"
-        new = f"select n.qid, n.nid, n.cost, n.parent from {visited} v join {cand} n on {match} where not ({_BETTER} or {_NEARER})"
-        # a kept candidate takes the sign, and the columns beyond the label, of the row it replaces
-        taken = f"select n.qid, n.nid, n.cost as d, n.parent as p, case when v.d is null or n.cost < v.d then cast({OPEN} as tinyint) else v.f end as f{own} from (select qid, nid, cost, parent from {cand} except all {new}) n left join {visited} v on {match}"
+        old = f"select v.qid, v.nid, v.d, v.p, v.f{own} from {visited} v left semi join {cand} n on {match} and ({_BETTER} or {_NEARER})"
+        new = f"select n.qid, n.nid, n.cost, n.parent from {cand} n left semi join {visited} v on {match} and not ({_BETTER} or {_NEARER})"
+        # a kept candidate takes the sign, and the columns beyond the label, of the row it replaces; both come together by
+        # union and grouping, so the planner's size estimate of the state does not square from round to round
+        both = (
+            f"select qid, nid, cost as nd, parent as np, null as d, null as f{nulls} from (select qid, nid, cost, parent from {cand} except all {new}) union all "
+            f"select qid, nid, null, null, d, f{''.join(f', {c}' for c in rest)} from ({old})"
+        )
+        kept = "".join(f", max({c}) as {c}" for c in rest)
+        taken = f"select qid, nid, max(nd) as d, max(np) as p, case when max(d) is null or max(nd) < max(d) then cast({OPEN} as tinyint) else max(f) end as f{kept} from ({both}) group by qid, nid"
         return f"(select qid, nid, d{columns} from {visited} except all {old}) union all {taken}"
     raise ValueError(dialect)
 

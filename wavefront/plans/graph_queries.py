@@ -204,14 +204,14 @@ _sp("sp_algebra", "power", lambda g, p: search.bidirectional_bfs(g, p, Options(e
 _sp("sp_modern", "power", lambda g, p: search.bidirectional_bfs(g, p, Options(expand="window", merge="single")))
 _sp("sp_nomerge", "power", lambda g, p: search.bidirectional_bfs(g, p, Options(expand="window", merge="two_step")))
 
-_WEB_PAIRS = "select i as qid, 'p:' || cast((i * 7 + 3) % n as varchar) as s, 'p:' || cast((i * 13 + 40) % n as varchar) as t from range(8) r(i), (select count(*) as n from pages)"
+_WEB_PAIRS = "select i as qid, 'p:' || cast((i * 5 + 7) % n as varchar) as s, 'p:' || cast((i * 5 + 67) % n as varchar) as t from range(8) r(i), (select count(*) as n from pages)"
 
 
 @add("sp_segmented_web", answers_sql(GRAPH_SQL["web"], _WEB_PAIRS))
 def sp_web(s: SparkSession, d: str) -> DataFrame:
     n, i = table(s, d, "pages").count(), F.col("id")
     name = lambda x: F.concat(F.lit("p:"), x.cast("string"))
-    pairs = s.range(8).select(i.alias("qid"), name((i * 7 + 3) % n).alias("s"), name((i * 13 + 40) % n).alias("t"))
+    pairs = s.range(8).select(i.alias("qid"), name((i * 5 + 7) % n).alias("s"), name((i * 5 + 67) % n).alias("t"))
     return segments.segmented(graph(s, d, "web", 4), pairs, 4).answers.select("qid", "distance")
 
 
