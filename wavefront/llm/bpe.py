@@ -21,6 +21,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from wavefront.llm.bytehash import give_back
+
 # The word pattern of the vocabulary's byte-level splitter, with white space spelled out.
 _WS = r"\t-\r \x85\xa0  -     　"
 WORD_PATTERN = rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{_WS}\p{{L}}\p{{N}}]+|[{_WS}]+(?![^{_WS}])|[{_WS}]+"
@@ -192,15 +194,18 @@ def _coded(spec: bytes, key: str):
                 f.flush()
                 _loaded[key] = Bpe(f.name)
         bpe = _loaded[key]
-        for batch in batches:
-            n, sha, back, ids = [], [], [], []
-            for text in batch.column(1).to_pylist():
-                code = bpe.encode(text or "")
-                ids.append(code)
-                n.append(len(code) // 4)
-                sha.append(hashlib.sha256(code).hexdigest())
-                back.append(hashlib.sha256(bpe.decode(code).encode()).hexdigest())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(sha, pa.string()), pa.array(back, pa.string()), pa.array(ids, pa.binary())], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "ids"])
+        for whole in batches:
+            for at in range(0, whole.num_rows, 1000):
+                batch = whole.slice(at, 1000)
+                n, sha, back, ids = [], [], [], []
+                for text in batch.column(1).to_pylist():
+                    code = bpe.encode(text or "")
+                    ids.append(code)
+                    n.append(len(code) // 4)
+                    sha.append(hashlib.sha256(code).hexdigest())
+                    back.append(hashlib.sha256(bpe.decode(code).encode()).hexdigest())
+                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(sha, pa.string()), pa.array(back, pa.string()), pa.array(ids, pa.binary())], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "ids"])
+            give_back()
 
     return run
 

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wavefront.llm.bitmap import marked, marks
-from wavefront.llm.bytehash import mix, prefix_sums, range_hash, spans_of_bytes, text_buffer
+from wavefront.llm.bytehash import give_back, mix, prefix_sums, range_hash, spans_of_bytes, text_buffer
 from wavefront.llm.components import connected_components
 from wavefront.session import cut
 
@@ -30,7 +30,9 @@ WORDS = 5
 BINS = 128
 BAND_ROWS = 5
 BANDS = BINS // BAND_ROWS
-PIECE = 1 << 20
+PIECE = 1 << 18
+STEP = 4 << 20
+PAIRS = 500
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 _SPACE = np.zeros(256, dtype=bool)
@@ -126,37 +128,40 @@ def _digest(s: np.ndarray) -> tuple[int, int]:
 def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         data, offsets = text_buffer(batch.column(1))
-        sets = shingle_sets(data, offsets)
-        d = [_digest(s) if len(s) else (None, None) for s in sets]
-        keys = [band_keys(one_permutation(s)).view(np.int64) if len(s) else np.empty(0, np.int64) for s in sets]
-        at = np.concatenate(([0], np.cumsum([len(k) for k in keys]))).astype(np.int32)
-        flat = np.concatenate(keys) if keys else np.empty(0, np.int64)
-        yield pa.RecordBatch.from_arrays(
-            [batch.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array([x for x, _ in d], pa.int64()), pa.array([x for _, x in d], pa.int64()), pa.ListArray.from_arrays(pa.array(at), pa.array(flat))],
-            names=["doc_id", "n_shingles", "d1", "d2", "bands"],
-        )
+        for i, j in spans_of_bytes(offsets, STEP):
+            sets = shingle_sets(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i])
+            d = [_digest(s) if len(s) else (None, None) for s in sets]
+            keys = [band_keys(one_permutation(s)).view(np.int64) if len(s) else np.empty(0, np.int64) for s in sets]
+            at = np.concatenate(([0], np.cumsum([len(k) for k in keys]))).astype(np.int32)
+            flat = np.concatenate(keys) if keys else np.empty(0, np.int64)
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0).slice(i, j - i), pa.array([len(s) for s in sets], pa.int64()), pa.array([x for x, _ in d], pa.int64()), pa.array([x for _, x in d], pa.int64()), pa.ListArray.from_arrays(pa.array(at), pa.array(flat))],
+                names=["doc_id", "n_shingles", "d1", "d2", "bands"],
+            )
+        del data, offsets, batch
+        give_back()
 
 
 def _confirm(percent: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kept_id, kept_set = None, None
-        for batch in batches:
-            u, v = batch.column(0).to_pylist(), list(zip(batch.column(1).to_pylist(), batch.column(4).to_pylist(), strict=True))
-            sets = shingle_sets(*text_buffer(batch.column(2)))
-            first = [k for k in range(len(v)) if k == 0 or v[k] != v[k - 1]]  # a centre's text is read once for a run of its members
-            centres = shingle_sets(*text_buffer(batch.column(3).take(pa.array(first, pa.int32()))))
-            by = {v[k]: c for k, c in zip(first, centres, strict=True)}
-            if v and v[0] == kept_id:
-                by[kept_id] = kept_set
-            ok = []
-            for a, c, s in zip(u, v, sets, strict=True):
-                o = by[c]
-                both = len(np.intersect1d(s, o, assume_unique=True))
-                if 100 * both >= percent * (len(s) + len(o) - both) and both:
-                    ok.append((a, c[0]))
-            if v:
+        for whole in batches:
+            for at in range(0, whole.num_rows, PAIRS):
+                batch = whole.slice(at, PAIRS)
+                u, v = batch.column(0).to_pylist(), list(zip(batch.column(1).to_pylist(), batch.column(4).to_pylist(), strict=True))
+                sets = shingle_sets(*text_buffer(batch.column(2)))
+                first = [k for k in range(len(v)) if (k == 0 or v[k] != v[k - 1]) and v[k] != kept_id]  # a centre's text is read once for a run of its members
+                centres = shingle_sets(*text_buffer(batch.column(3).take(pa.array(first, pa.int32()))))
+                by = {v[k]: c for k, c in zip(first, centres, strict=True)} | ({kept_id: kept_set} if kept_id else {})
+                ok = []
+                for a, c, s in zip(u, v, sets, strict=True):
+                    o = by[c]
+                    both = len(np.intersect1d(s, o, assume_unique=True))
+                    if 100 * both >= percent * (len(s) + len(o) - both) and both:
+                        ok.append((a, c[0]))
                 kept_id, kept_set = v[-1], by[v[-1]]
-            yield pa.RecordBatch.from_arrays([pa.array([a for a, _ in ok], pa.int64()), pa.array([c for _, c in ok], pa.int64())], names=["u", "v"])
+                yield pa.RecordBatch.from_arrays([pa.array([a for a, _ in ok], pa.int64()), pa.array([c for _, c in ok], pa.int64())], names=["u", "v"])
+            give_back()
 
     return run
 

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wavefront.llm.bitmap import marked, marks
-from wavefront.llm.bytehash import mix, prefix_sums, range_hash, spans_of_bytes, text_buffer
+from wavefront.llm.bytehash import give_back, mix, prefix_sums, range_hash, spans_of_bytes, text_buffer
 from wavefront.llm.suffix_order import LENGTH, repeated_starts
 from wavefront.session import cut
 
@@ -96,11 +96,13 @@ def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         loc = (first << 16) | ((last - first) << 8) | (anchor - first)
         take = pa.array(row)
         yield pa.RecordBatch.from_arrays([pa.array(gram.view(np.int64)), pa.array(key.view(np.int64)), batch.column(0).take(take), batch.column(1).take(take), pa.array(loc)], names=["gram", "run_key", "doc_id", "tk", "loc"])
+        give_back()
 
 
 def _grams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         yield pa.RecordBatch.from_arrays([pa.array(anchor_runs(*text_buffer(batch.column(0)))[4].view(np.int64))], names=["gram"])
+        give_back()
 
 
 _SLICE = "gram long, weight long, many boolean, doc_id long, tk long, loc long, bytes binary"
@@ -158,6 +160,7 @@ def _sorted_buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatc
                 rows, size = [], 0
             rows.append(row)
             size += len(row[5]) + 64
+        give_back()
     if rows:
         yield done(rows)
 
@@ -200,6 +203,7 @@ def _cut_texts(keep: bool):
                     rows.append((len(text), len(text) - len(left), n, hashlib.sha256(left).hexdigest(), left if keep else None))
                 columns = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)]
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), *columns], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"])
+            give_back()
 
     return run
 

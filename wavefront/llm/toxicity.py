@@ -16,12 +16,13 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from wavefront.llm.bytehash import give_back
+
 BITS = 18
 FIT_ROWS = 6000
 REJECT_AT = 0.3
@@ -168,18 +169,18 @@ def grade_documents(docs: DataFrame, labels: DataFrame, reject_at: float = REJEC
     return scored.withColumn("toxic", F.col("severity") >= reject_at)
 
 
-def severity_column(model: Ordinal, text: Column) -> Column:
-    """The expected severity as a column, for rows that keep all their other columns."""
-    weights, cuts = model.weights.astype(np.float32), model.cuts
-
-    @F.pandas_udf("double")
-    def score(texts: pd.Series) -> pd.Series:
-        own = Ordinal(weights.astype(np.float64), cuts)
-        return pd.Series([own.severity(features(t or "")[0])[0] for t in texts], dtype="float64")
-
-    return score(text)
-
-
 def drop_toxic(docs: DataFrame, labels: DataFrame, reject_at: float = REJECT_AT, fit_rows: int = FIT_ROWS) -> DataFrame:
     """The rows of ``docs`` below ``reject_at``, with their own columns; see ``grade_documents`` for odd rows."""
-    return docs.where(severity_column(fit_on(docs, labels, fit_rows), F.col("text").cast("string")) < reject_at)
+    model = fit_on(docs, labels, fit_rows)
+    weights, cuts, place = model.weights.astype(np.float32), model.cuts, docs.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = Ordinal(weights.astype(np.float64), cuts)
+        for whole in batches:
+            for at in range(0, whole.num_rows, 1000):
+                batch = whole.slice(at, 1000)
+                low = [own.severity(features(str(t) if t is not None else "")[0])[0] < reject_at for t in batch.column(place).to_pylist()]
+                yield batch.filter(pa.array(low, pa.bool_()))
+            give_back()
+
+    return docs.mapInArrow(run, docs.schema)
