@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from wavefront.operators.components import connected_components
 from wavefront.plans.search import rounds_conf
 from wavefront.session import cut
 
-_KEY = F.struct("cost", F.least("fid", "tid").alias("lo"), F.greatest("fid", "tid").alias("hi"))
+def _key() -> Column:
+    return F.struct("cost", F.least("fid", "tid").alias("lo"), F.greatest("fid", "tid").alias("hi"))
+
 
 
 def prim(edges: DataFrame, root: object) -> DataFrame:
@@ -19,7 +21,7 @@ def prim(edges: DataFrame, root: object) -> DataFrame:
     connecting edge of each node outside the tree; nodes inside are never touched again.
     """
     spark = edges.sparkSession
-    order = edges.select("fid", "tid", _KEY.alias("key"))
+    order = edges.select("fid", "tid", _key().alias("key"))
     with rounds_conf(spark, 1):
         order = cut(order)
         kind = order.schema["key"].dataType.simpleString()
@@ -46,7 +48,7 @@ def boruvka(edges: DataFrame) -> DataFrame:
         while True:
             a, b = labels.select(F.col("node").alias("fid"), F.col("component").alias("ca")), labels.select(F.col("node").alias("tid"), F.col("component").alias("cb"))
             across = order.join(a, "fid").join(b, "tid").where("ca <> cb")
-            least = across.select(F.explode(F.array("ca", "cb")).alias("c"), _KEY.alias("key")).groupBy("c").agg(F.min("key").alias("key"))
+            least = across.select(F.explode(F.array("ca", "cb")).alias("c"), _key().alias("key")).groupBy("c").agg(F.min("key").alias("key"))
             chosen = cut(least.select("key.*").distinct().select(F.col("lo").alias("fid"), F.col("hi").alias("tid"), "cost"))
             if chosen.isEmpty():
                 return tree if tree is not None else chosen
