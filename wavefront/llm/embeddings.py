@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from wavefront.llm.components import connected_components
+from wavefront.operators.components import connected_components
 from wavefront.session import cut
 
 CHUNK = 1024
@@ -98,7 +98,7 @@ def _links(threshold: float, tables: int):
         sig = raw[:, 8 * size :].copy().view("<i4")
         who, side, table = np.array(ids, np.int64), np.array(chunk), key >> 40
         left, right = (np.flatnonzero(side == a), np.flatnonzero(side == b))
-        found_i, found_j = [], []
+        found_i, found_j = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
         for p in range(0, len(left), 512):
             part = left[p : p + 512]
             i, j = np.nonzero(x[part] @ x[right].T >= threshold)
