@@ -91,12 +91,14 @@ def _control_sql(spark: SparkSession, control: list[dict], nid: T.DataType, cost
     return f"select {', '.join(f'cast({n} as {k}) as {n}' for n, k in zip(_CONTROL, kinds, strict=True))} from values {rows} as t({', '.join(_CONTROL)})"
 
 
-def _survey(spark: SparkSession, state: str, ends: str, one: bool) -> dict[int, dict]:
-    """One aggregate over the state: levels, open counts, best sum and the target's label for each query."""
+def _survey(spark: SparkSession, state: str, ends: str | None, one: bool) -> dict[int, dict]:
+    """One aggregate over the state: levels, open counts, best sum and, where ``ends`` is given, the target's label."""
+    target = ", min(case when nid = e.t then d2s end) as dt, max(case when nid = e.t then f end) as ft" if ends else ""
+    source = f"{state} s join {ends} e on s.qid = e.qid" if ends else f"{state} s"
     mids = ", min(case when f = 0 then struct(d2s, nid) end) as mf, min(case when b = 0 then struct(d2t, nid) end) as mb" if one else ""
     rows = spark.sql(
-        f"select /*+ broadcast(e) */ s.qid, min(case when f = 0 then d2s end) as lf, min(case when b = 0 then d2t end) as lb, count(case when f = 0 then 1 end) as nf, count(case when b = 0 then 1 end) as nb, "
-        f"min(d2s + d2t) as best, count(1) as visited, min(case when nid = e.t then d2s end) as dt, max(case when nid = e.t then f end) as ft{mids} from {state} s join {ends} e on s.qid = e.qid group by s.qid"
+        f"select {'/*+ broadcast(e) */ ' if ends else ''}s.qid, min(case when f = 0 then d2s end) as lf, min(case when b = 0 then d2t end) as lb, count(case when f = 0 then 1 end) as nf, count(case when b = 0 then 1 end) as nb, "
+        f"min(d2s + d2t) as best, count(1) as visited{target}{mids} from {source} group by s.qid"
     )
     return {r["qid"]: r.asDict(recursive=True) for r in rows.collect()}
 
@@ -139,7 +141,7 @@ def search(graph: Graph, pairs: DataFrame, kind: str, sides: int = 2, threshold:
         for number in range(1, opts.max_rounds + 2):
             began = time.time()
             state.createOrReplaceTempView(f"{tag}_state")
-            stats = _survey(spark, f"{tag}_state", f"{tag}_ends", kind == "one") if live else {}
+            stats = _survey(spark, f"{tag}_state", f"{tag}_ends" if sides == 1 else None, kind == "one") if live else {}
             seconds["statistics"] += time.time() - began
             turn: list[dict] = []
             for q in list(live):
@@ -182,8 +184,9 @@ def search(graph: Graph, pairs: DataFrame, kind: str, sides: int = 2, threshold:
                 state.createOrReplaceTempView(f"{tag}_state")
             began = time.time()
             used = {w: views[w] for w in ("f", "b") if any(c["dir"] == w for c in turn)}
+            backward = [c["qid"] for c in turn if c["dir"] == "b"] if len(turn) <= INLINE_QUERIES else None
             few = sum(stats[c["qid"]]["n" + c["dir"]] for c in turn) <= BROADCAST_FRONTIER
-            state = cut(spark.sql(_round_sql(f"{tag}_state", _control_sql(spark, turn, nid_type, cost_type, f"{tag}_control"), used, kind, opts, radius, few)))
+            state = cut(spark.sql(_round_sql(f"{tag}_state", _control_sql(spark, turn, nid_type, cost_type, f"{tag}_control"), backward, used, kind, opts, radius, few)))
             spent = time.time() - began
             seconds["expansion"] += spent
             log = [(*r[:7], spent) if r[1] == number else r for r in log]
@@ -210,7 +213,7 @@ def _direction(how: str, s: dict, c: dict) -> str:
     return "f" if s["nf"] <= s["nb"] else "b"
 
 
-def _round_sql(state: str, control: str, tables: dict[str, tuple[str, str]], kind: str, opts: Options, radius: float | None, few: bool) -> str:
+def _round_sql(state: str, control: str, backward: list[int] | None, tables: dict[str, tuple[str, str]], kind: str, opts: Options, radius: float | None, few: bool) -> str:
     """The statement of one round: each query's rows are seen from its side, merged, and turned back."""
     pick = lambda a, b: f"case when c.dir = 'b' then {b} else {a} end"
     seen = (
@@ -220,11 +223,14 @@ def _round_sql(state: str, control: str, tables: dict[str, tuple[str, str]], kin
     flagged = f"select *, case when dir is not null and f0 = {OPEN} and {RULES[kind]} then cast({ACTIVE} as tinyint) else f0 end as f from seen"
     near = [f"(select {'/*+ broadcast(v) */ ' if few else ''}{neighbours_sql(f'front_{way}', table, parent, radius, opts.prune)[7:]})" for way, (table, parent) in tables.items()]
     fronts = ", ".join(f"front_{way} as (select qid, nid, d, other, best from flagged where f = {ACTIVE} and dir = '{way}')" for way in tables)
-    turn = lambda a, b: f"case when c.dir = 'b' then {b} else {a} end"
+    # rows are turned back by a list of the queries that went backward, or by the control table where there are many
+    went_back = "c.dir = 'b'" if backward is None else f"m.qid in ({', '.join(map(str, backward))})" if backward else "false"
+    turn = lambda a, b: f"case when {went_back} then {b} else {a} end"
+    again = " left join c on m.qid = c.qid" if backward is None else ""
     return (
         f"with c as ({control}), seen as ({seen}), flagged as ({flagged}), {fronts}, cand as ({' union all '.join(near)}), new as ({cheapest_sql('cand', opts.expand)}), "
         f"old as (select qid, nid, d, p, case when f = {ACTIVE} then cast({CLOSED} as tinyint) else f end as f, od, op, of from flagged), merged as ({merge_sql('old', 'new', opts.merge, ('od', 'op', 'of'))}) "
-        f"select /*+ broadcast(c) */ m.qid, m.nid, {turn('d', 'od')} as d2s, {turn('p', 'op')} as p2s, {turn('f', 'of')} as f, {turn('od', 'd')} as d2t, {turn('op', 'p')} as p2t, {turn('of', 'f')} as b from merged m left join c on m.qid = c.qid"
+        f"select {'/*+ broadcast(c) */ ' if again else ''}m.qid, m.nid, {turn('d', 'od')} as d2s, {turn('p', 'op')} as p2s, {turn('f', 'of')} as f, {turn('od', 'd')} as d2t, {turn('op', 'p')} as p2t, {turn('of', 'f')} as b from merged m{again}"
     )
 
 
