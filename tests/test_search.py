@@ -117,6 +117,13 @@ def test_index_definition_and_mirror(spark, noise):
     assert {(r["tid"], r["fid"]): r["cost"] for r in back.collect()} == got
 
 
+def test_many_queries_keep_their_control_rows_in_a_table(spark, noise, monkeypatch):
+    rows, e = noise
+    monkeypatch.setattr(search, "INLINE_QUERIES", 2)
+    want = {p["qid"]: exact(rows, p["s"]).get(p["t"]) for p in pairs_of(spark).collect()}
+    assert asked(search.bidirectional_bfs(Graph.of(e), pairs_of(spark))) == {q: d for q, d in want.items() if d is not None}
+
+
 def test_special_cases(spark, toy):
     p = spark.createDataFrame([(0, "s", "s"), (1, "s", "nowhere"), (2, "t", "s"), (3, "s", "c")], "qid long, s string, t string")
     assert asked(search.bidirectional_set(Graph.of(toy), p)) == {0: 0, 3: 1}
