@@ -1,6 +1,7 @@
 """Near-duplicates, repeated passages and vectors against brute force."""
 
 import hashlib
+import random
 from collections import Counter
 
 import numpy as np
@@ -52,6 +53,25 @@ def test_one_of_each_keeps_columns_and_one_of_a_class(docs):
     assert 1 in ids and 2 not in ids and 4 not in ids and ids.count(None) == 2
 
 
+@pytest.mark.parametrize("stars", [minhash.STARS, 0])
+def test_original_in_the_middle_of_its_copies(spark, monkeypatch, stars):
+    """Copies are near the original and not near each other; with no further stars the blocks alone must find it."""
+    monkeypatch.setattr(minhash, "STARS", stars)
+    monkeypatch.setattr(minhash, "BLOCK", 8)
+    r = random.Random(5)
+    base = [f"w{r.randrange(10**6)}" for _ in range(404)]
+    rows = []
+    for n in range(51):
+        own = list(base)
+        for k in r.sample(range(5, 400), 4) if n != 25 else ():
+            own[k] = f"x{n}y{k}"
+        rows.append((n, " ".join(own)))
+    want = classes(rows, 85)
+    assert set(want.values()) == {0}
+    got = {x["doc_id"]: x["component_id"] for x in minhash.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == want
+
+
 def test_similarity_near_the_threshold(spark):
     base = [f"w{k}" for k in range(300)]
     rows = [(0, " ".join(base))] + [(n, " ".join("x" if k in {11 * j for j in range(1, n + 1)} else w for k, w in enumerate(base))) for n in range(1, 12)]

@@ -7,8 +7,11 @@ so two sets that agree borrow alike. 25 bands of 5 slots make bucket keys: a pai
 band with probability below 1e-6, at 0.8 below 1e-4.
 
 Equal sets first fall into one class by a 128-bit digest; only one representative of a class goes on. In a bucket
-every member is paired with the least member alone (a star), so a bucket of n gives n-1 candidates; the 25 buckets of
-a document give it several centres. Candidates are confirmed on the full sets, recomputed from the texts.
+every member is paired with the least member (a star), so a bucket of n gives n-1 candidates. A centre has then met its
+whole bucket and leaves it. Buckets whose other members are not yet known to be connected are open: they take more stars,
+each around the member that shares most open buckets with others (the text that edited copies derive from), and what is
+open after these is paired in full, block by block. So every pair of a bucket is tried or lies in one component.
+Candidates are confirmed on the full sets, recomputed from the texts.
 """
 
 from __future__ import annotations
@@ -33,6 +36,8 @@ BANDS = BINS // BAND_ROWS
 PIECE = 1 << 18
 STEP = 4 << 20
 PAIRS = 500
+STARS = 2
+BLOCK = 128
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 _SPACE = np.zeros(256, dtype=bool)
@@ -166,6 +171,105 @@ def _confirm(percent: int):
     return run
 
 
+def _star_links(docs: DataFrame, keys: DataFrame, centres: DataFrame, percent: int) -> DataFrame:
+    """Confirmed pairs (u, v) of each bucket's members with its centre."""
+    near = F.least("n", "cn") * 100 >= F.greatest("n", "cn") * percent
+    pairs = cut(keys.select("key", "doc_id", "n").join(centres.hint("merge"), "key").where((F.col("doc_id") != F.col("c")) & near).select(F.col("doc_id").alias("u"), F.col("c").alias("v")).distinct())
+    ends = pairs.select(F.explode(F.array(F.xxhash64("u"), F.xxhash64("v"))).alias("_dk"))
+    docs = marked(docs.withColumn("_dk", F.xxhash64("doc_id")), marks(ends, "_dk"), "_dk").where("hit")  # other texts are not moved
+    member = pairs.join(docs.select(F.col("doc_id").alias("u"), "text").hint("merge"), "u")
+    both = member.join(docs.select(F.col("doc_id").alias("v"), F.col("text").alias("other")).hint("merge"), "v")
+    return both.select("u", "v", "text", "other", F.xxhash64("other").alias("other_key")).mapInArrow(_confirm(percent), "u long, v long")
+
+
+def _still_open(keys: DataFrame, centres: DataFrame, links: DataFrame) -> DataFrame:
+    """Buckets without their centre, those only whose members bear several labels: (key, doc_id, n, component).
+
+    A label is the least node within two links. Equal labels mean one component; a component with several labels is
+    only paired more than it need be.
+    """
+    both = links.unionByName(links.select(F.col("v").alias("u"), F.col("u").alias("v")))
+    least = both.groupBy("u").agg(F.least(F.min("u"), F.min("v")).alias("m"))
+    label = both.join(least.withColumnRenamed("u", "v").hint("merge"), "v").groupBy("u").agg(F.min("m").alias("component"))
+    rest = keys.select("key", "doc_id", "n").join(centres.select("key", "c").hint("merge"), "key").where("doc_id <> c").drop("c")
+    rest = rest.join(label.withColumnRenamed("u", "doc_id").hint("merge"), "doc_id", "left")
+    rest = cut(rest.withColumn("component", F.coalesce("component", "doc_id")))
+    several = rest.groupBy("key").agg(F.min("component").alias("a"), F.max("component").alias("b")).where("a <> b").select("key")
+    return cut(rest.join(several.hint("merge"), "key", "left_semi"))
+
+
+def _hubs(keys: DataFrame) -> DataFrame:
+    """The centre of each open bucket: the member that meets most others over all its open buckets, then the least."""
+    size = keys.groupBy("key").agg(F.count(F.lit(1)).alias("m"))
+    met = keys.join(size.hint("merge"), "key").groupBy("doc_id").agg(F.sum("m").alias("met"))
+    best = F.struct(-F.col("met"), "doc_id")
+    scored = keys.join(met.hint("merge"), "doc_id")
+    return scored.groupBy("key").agg(F.min_by("doc_id", best).alias("c"), F.min_by("n", best).alias("cn"))
+
+
+def _block_links(docs: DataFrame, keys: DataFrame, percent: int) -> DataFrame:
+    """Confirmed pairs (u, v) among all members of each bucket, a block of members against another at a time."""
+    blocks = keys.groupBy("key").agg(F.ceil(F.count(F.lit(1)) / BLOCK).alias("of"))
+    dealt = keys.join(blocks.hint("merge"), "key").withColumn("mine", F.pmod(F.xxhash64("doc_id"), "of"))
+    dealt = dealt.select("key", "doc_id", "component", "mine", F.explode(F.sequence(F.lit(0).cast("long"), F.col("of") - 1)).alias("other"))
+    dealt = dealt.select("doc_id", "component", "mine", F.struct("key", F.least("mine", "other").alias("a"), F.greatest("mine", "other").alias("b")).alias("at"))
+    texts = cut(docs.join(keys.select("doc_id").distinct().hint("merge"), "doc_id", "left_semi"))
+    rows = dealt.join(texts.hint("merge"), "doc_id").select(F.col("at.key").alias("key"), F.col("at.a").alias("a"), F.col("at.b").alias("b"), "mine", "doc_id", "component", "text")
+    rows = rows.repartition("key", "a", "b").sortWithinPartitions("key", "a", "b")
+    return rows.mapInArrow(_paired(percent), "u long, v long")
+
+
+def _paired(percent: int):
+    """Rows in order of (key, a, b) -> links between members of blocks a and b.
+
+    A pair is tried in the first bucket it shares; where that bucket is no longer open or has lost one of the two, the
+    pair lies in one component or was tried with a centre.
+    """
+
+    def done(group: tuple, rows: list[tuple]) -> Iterator[tuple[int, int]]:
+        key, a, b = group
+        left = [r for r in rows if r[0] == a]
+        right = left if a == b else [r for r in rows if r[0] == b]
+        theirs = np.array([r[3] for r in right]).reshape(-1, BANDS)
+        label = np.array([r[2] for r in right])
+        size = np.array([len(r[4]) for r in right])
+        for k, (_, u, component, bands, own) in enumerate(left):
+            same = theirs == bands
+            first = same.argmax(axis=1)
+            try_ = same.any(axis=1) & (bands[first] == key) & (label != component)
+            try_ &= np.minimum(size, len(own)) * 100 >= np.maximum(size, len(own)) * percent
+            if a == b:
+                try_[: k + 1] = False
+            for j in np.flatnonzero(try_).tolist():
+                o = right[j][4]
+                both = len(np.intersect1d(own, o, assume_unique=True))
+                if 100 * both >= percent * (len(own) + len(o) - both) and both:
+                    yield u, right[j][1]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        group, rows = None, []
+        for whole in batches:
+            out: list[tuple[int, int]] = []
+            for at in range(0, whole.num_rows, PAIRS):
+                batch = whole.slice(at, PAIRS)
+                sets = shingle_sets(*text_buffer(batch.column(6)))
+                columns = [batch.column(k).to_pylist() for k in range(6)]
+                for key, a, b, mine, u, component, own in zip(*columns, sets, strict=True):
+                    if group != (key, a, b):
+                        if rows:
+                            out += done(group, rows)
+                        group, rows = (key, a, b), []
+                    if len(own):  # an id's other row may have no words
+                        rows.append((mine, u, component, band_keys(one_permutation(own)).view(np.int64), own))
+            yield pa.RecordBatch.from_arrays([pa.array([u for u, _ in out], pa.int64()), pa.array([v for _, v in out], pa.int64())], names=["u", "v"])
+            give_back()
+        if rows:
+            out = list(done(group, rows))
+            yield pa.RecordBatch.from_arrays([pa.array([u for u, _ in out], pa.int64()), pa.array([v for _, v in out], pa.int64())], names=["u", "v"])
+
+    return run
+
+
 def near_duplicates(docs: DataFrame, percent: int = 85) -> DataFrame:
     """Classes of near-duplicate rows of ``docs(doc_id long, text string, ...)``.
 
@@ -182,12 +286,21 @@ def near_duplicates(docs: DataFrame, percent: int = 85) -> DataFrame:
     copies = cut(copies.distinct())
     reps = some.join(classes.select(F.col("rep").alias("doc_id"), "d1", "d2").hint("merge"), ["doc_id", "d1", "d2"])
     keys = reps.select("doc_id", F.col("n_shingles").alias("n"), F.explode("bands").alias("key"))
-    centres = cut(keys.groupBy("key").agg(F.min(F.col("doc_id")).alias("c"), F.min_by("n", "doc_id").alias("cn"), F.count(F.lit(1)).alias("m")).where("m > 1").select("key", "c", "cn"))
-    near = F.least("n", "cn") * 100 >= F.greatest("n", "cn") * percent
-    pairs = cut(keys.join(centres.hint("merge"), "key").where((F.col("doc_id") != F.col("c")) & near).select(F.col("doc_id").alias("u"), F.col("c").alias("v")).distinct())
-    member = pairs.join(docs.select(F.col("doc_id").alias("u"), "text").hint("merge"), "u")
-    both = member.join(docs.select(F.col("doc_id").alias("v"), F.col("text").alias("other")).hint("merge"), "v")
-    links = both.select("u", "v", "text", "other", F.xxhash64("other").alias("other_key")).mapInArrow(_confirm(percent), "u long, v long")
+    full = keys.groupBy("key").agg(F.count(F.lit(1)).alias("m")).where("m > 1").select("key")
+    keys = cut(keys.join(full.hint("merge"), "key", "left_semi"))
+    centres = keys.groupBy("key").agg(F.min("doc_id").alias("c"), F.min_by("n", "doc_id").alias("cn"))
+    links = None
+    for turn in range(STARS + 1):
+        centres = cut(centres)
+        found = _star_links(docs, keys, centres, percent)
+        links = cut(found if links is None else links.unionByName(found))
+        keys = _still_open(keys, centres, links)
+        if keys.isEmpty():
+            break
+        if turn < STARS:
+            centres = _hubs(keys)
+    else:
+        links = links.unionByName(_block_links(docs, keys, percent))
     several = some.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
     bridges = copies.join(several, "doc_id", "left_semi").select(F.col("doc_id").alias("u"), F.col("rep").alias("v"))
     comp = cut(connected_components(links.unionByName(bridges)))
