@@ -112,6 +112,18 @@ def test_hot_buckets_give_the_same(docs, monkeypatch):
     assert sorted(r["kept_sha256"] for r in a.collect()) == sorted(hashlib.sha256(k).hexdigest() for k, _ in removed([(r["doc_id"], r["text"]) for r in docs.collect()]))
 
 
+def test_passages_of_51_words_go(spark):
+    """Short words: 51 of them take far less than 400 bytes; blanks between words do not matter, 50 words stay."""
+    r = random.Random(3)
+    own = lambda n: [f"{r.randrange(10**5)}" for _ in range(n)]
+    passage, less = [f"é{k}" for k in range(51)], [f"b{k}" for k in range(50)]
+    assert len(" ".join(passage).encode()) < LENGTH
+    parts = [(own(30), own(20)) for _ in range(4)]
+    rows = [(k, " ".join([*a, *(passage if k < 2 else less), *b]) if k != 1 else " ".join(a) + "\n" + "  ".join(passage) + "\n" + " ".join(b)) for k, (a, b) in enumerate(parts)]
+    got = {x["doc_id"]: x["text"].split() for x in suffix_dedup.without_repeats(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {k: [*a, *b] if k < 2 else [*a, *less, *b] for k, (a, b) in enumerate(parts)}
+
+
 def test_without_repeats_keeps_columns(docs):
     out = suffix_dedup.without_repeats(docs)
     assert out.columns == docs.columns and out.count() == docs.count()

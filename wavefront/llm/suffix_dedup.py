@@ -12,11 +12,15 @@ form a run, so a bucket row stands for about a hundred suffixes.
    A bucket with very many different runs is dealt out by the strings themselves instead (their 128-bit keys), so no
    task ever holds an unbounded bucket.
 4. Starts become byte intervals, are gathered by document and cut out of the text.
+
+``without_repeats`` also cuts passages of 51 words or more, however few bytes they take: a text becomes the 8-byte codes
+of its pairs of neighbouring words, where 400 bytes are 50 codes, that is 51 words.
 """
 
 from __future__ import annotations
 
 import hashlib
+import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -36,7 +40,13 @@ WINDOW = LENGTH - GRAM + 1
 PIECE = 1 << 18
 BLOCK_BYTES = 1 << 20
 BUCKET_RUNS = 512
+CODE = 8
+PASSAGE_WORDS = LENGTH // CODE + 1
 _LOW = np.uint64((1 << 20) - 1)
+_SPACE = np.zeros(256, dtype=bool)
+_SPACE[[32, *range(9, 14)]] = True
+_WORD = re.compile(rb"[^\x20\x09-\x0d]+")
+_FACTORS = mix(np.arange(1, 4, dtype=np.uint64)) | np.uint64(1)
 
 
 def anchor_runs(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, ...]:
@@ -208,6 +218,41 @@ def _cut_texts(keep: bool):
     return run
 
 
+def word_codes(data: np.ndarray, offsets: np.ndarray) -> list[bytes]:
+    """For each text the codes of its pairs of neighbouring words (runs of bytes other than ASCII white space)."""
+    out: list[bytes] = []
+    for i, j in spans_of_bytes(offsets, PIECE):
+        at = offsets[i : j + 1] - offsets[i]
+        b = data[offsets[i] : offsets[j]]
+        edge = np.zeros(len(b) + 1, bool)
+        edge[at] = True
+        word = np.concatenate(([False], ~_SPACE[b], [False]))
+        start = np.flatnonzero(word[1:-1] & (~word[:-2] | edge[:-1]))
+        end = np.flatnonzero(word[1:-1] & (~word[2:] | edge[1:])) + 1
+        w = mix(range_hash(prefix_sums(b), start, end) + (end - start).astype(np.uint64) * _FACTORS[2])
+        code = mix(w[:-1] * _FACTORS[0] + w[1:] * _FACTORS[1])
+        first = np.searchsorted(start, at).tolist()
+        out += [code[lo : max(lo, hi - 1)].tobytes() for lo, hi in zip(first[:-1], first[1:], strict=True)]
+    return out
+
+
+def _coded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        data, offsets = text_buffer(batch.column(2))
+        for i, j in spans_of_bytes(offsets, 2 << 20):
+            codes = pa.array(word_codes(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]), pa.binary())
+            yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), batch.column(1).slice(i, j - i), codes], names=["doc_id", "tk", "text"])
+        give_back()
+
+
+def repeated_passages(docs: DataFrame) -> DataFrame:
+    """``(doc_id, tk, s, e)``: the windows of 51 words that start at words s..e of that row repeat elsewhere."""
+    found = repeated_intervals(cut(docs.select("doc_id", "tk", "text").mapInArrow(_coded, "doc_id long, tk long, text binary")))
+    # only starts at whole codes are words
+    words = found.select("doc_id", "tk", F.ceil(F.col("s") / CODE).alias("s"), F.floor(F.col("e") / CODE).alias("e"))
+    return words.where("s <= e")
+
+
 def repeated_intervals(docs: DataFrame) -> DataFrame:
     """``(doc_id, tk, s, e)``: string starts s..e of the row with that id and text key repeat elsewhere."""
     runs = docs.select("doc_id", "tk", "text").mapInArrow(_runs, "gram long, run_key long, doc_id long, tk long, loc long")
@@ -255,19 +300,23 @@ def remove_repeats(docs: DataFrame, keep: bool = True) -> DataFrame:
 SPANS = "_repeated"
 
 
-def with_spans(docs: DataFrame) -> DataFrame:
+def with_spans(docs: DataFrame, passages: bool = False) -> DataFrame:
     """``docs`` with a column ``SPANS`` of string-start intervals (s, e) that repeat elsewhere, null where there are none.
 
+    With ``passages`` there are intervals of 51-word windows too, counted in words and marked by ``words``.
     Rows without a repeat are told by a bit map and stay where they are; only the others meet their spans in a join.
     """
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     keyed = docs.withColumn("_tk", F.xxhash64(text))
     slim = keyed.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("_tk").alias("tk"), text.alias("text"))
-    spans = repeated_intervals(slim).groupBy("doc_id", "tk").agg(F.collect_list(F.struct("s", "e")).alias(SPANS))
+    found = repeated_intervals(slim).withColumn("words", F.lit(False))
+    if passages:
+        found = found.unionByName(repeated_passages(slim).withColumn("words", F.lit(True)))
+    spans = found.groupBy("doc_id", "tk").agg(F.collect_list(F.struct("s", "e", "words")).alias(SPANS))
     spans = cut(spans.select(F.col("doc_id").alias("_d2"), F.col("tk").alias("_t2"), SPANS))
     split = marked(keyed, marks(spans, "_t2"), "_tk")
     names = [f"`{c}`" for c in docs.columns]
-    alone = split.where("not hit").select(*names, F.lit(None).cast("array<struct<s:bigint,e:bigint>>").alias(SPANS))
+    alone = split.where("not hit").select(*names, F.lit(None).cast("array<struct<s:bigint,e:bigint,words:boolean>>").alias(SPANS))
     met = split.where("hit").join(spans.hint("merge"), F.col("doc_id").cast("long").eqNullSafe(F.col("_d2")) & (F.col("_tk") == F.col("_t2")), "left")
     return alone.unionByName(met.select(*names, SPANS))
 
@@ -284,13 +333,19 @@ def cut_text(text: bytes, spans: list[tuple[int, int]]) -> tuple[bytes, int]:
     return b"".join(text[a:b] for a, b in zip(edges[::2], edges[1::2], strict=True)), len(gone)
 
 
+def _byte_spans(text: bytes, spans: list) -> list[tuple[int, int]]:
+    """All spans as starts of strings in bytes; a word span ends where its last window does."""
+    words = [m.span() for m in _WORD.finditer(text)] if any(x["words"] for x in spans) else []
+    return [(words[x["s"]][0], words[x["e"] + PASSAGE_WORDS - 1][1] - LENGTH) if x["words"] else (x["s"], x["e"]) for x in spans]
+
+
 def _without(texts: pd.Series, spans: pd.Series) -> pd.Series:
-    return pd.Series([cut_text(t.encode(), [(x["s"], x["e"]) for x in own])[0].decode("utf-8", "ignore") for t, own in zip(texts, spans, strict=True)], dtype="object")
+    return pd.Series([cut_text(b, _byte_spans(b, own))[0].decode("utf-8", "ignore") for b, own in zip(map(str.encode, texts), spans, strict=True)], dtype="object")
 
 
 def without_repeats(docs: DataFrame) -> DataFrame:
-    """``docs`` with repeated passages cut from ``text`` (halves of characters at a cut go too) and n_chars, if any, set anew."""
-    rows = with_spans(docs)
+    """``docs`` with repeated passages (400 bytes or 51 words) cut from ``text`` (halves of characters at a cut go too) and n_chars, if any, set anew."""
+    rows = with_spans(docs, passages=True)
     rest = rows.where(F.col(SPANS).isNull()).drop(SPANS)
     hit = rows.where(F.col(SPANS).isNotNull()).withColumn("text", F.pandas_udf(_without, "string")(F.col("text").cast("string"), F.col(SPANS))).drop(SPANS)
     if "n_chars" in docs.columns:
