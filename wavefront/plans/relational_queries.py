@@ -86,8 +86,8 @@ _sql("rel_set_except", "select p_partkey as p from {part} except select l_partke
 _sql("rel_scalar_subquery", "select fid, tid from {random_edges} where cost = (select min(cost) from {random_edges})")
 _HOPS = "with recursive w(nid, hops) as (select cast(0 as bigint), 0 union all select e.tid, w.hops + 1 from w join {supplier_edges} e on w.nid = e.fid where w.hops < 3) select nid, cast(min(hops) as bigint) as hops from w group by nid"
 _sql("rel_recursive_hops", _HOPS)
-_PATHS = "select l_orderkey, transform(array_sort(collect_list(struct(l_linenumber, l_partkey))), x -> x.l_partkey) as path from {lineitem} where l_orderkey % 50 = 0 group by l_orderkey"
-_PATHS_DUCK = "select l_orderkey, l_partkey, row_number() over (partition by l_orderkey order by l_linenumber, l_partkey) - 1 as pos from lineitem where l_orderkey % 50 = 0"
+_PATHS = "select l_orderkey, transform(array_sort(collect_list(struct(l_linenumber, l_partkey))), x -> x.l_partkey) as path from {lineitem} group by l_orderkey"
+_PATHS_DUCK = "select l_orderkey, l_partkey, row_number() over (partition by l_orderkey order by l_linenumber, l_partkey) - 1 as pos from lineitem"
 _sql("rel_explode_paths", f"select l_orderkey, cast(pos as bigint) as pos, nid from (select l_orderkey, posexplode(path) as (pos, nid) from ({_PATHS}))", f"select l_orderkey, cast(pos as bigint) as pos, l_partkey as nid from ({_PATHS_DUCK})")
 _PATH_EDGES = f"select l_orderkey, cast(pos as bigint) as pos, fid, tid from (select l_orderkey, pos, l_partkey as fid, lead(l_partkey) over (partition by l_orderkey order by pos) as tid from ({_PATHS_DUCK})) where tid is not null"
 
