@@ -8,7 +8,7 @@ from wavefront.sources.tables import table
 SF = "/root/testdata/sf0.001"
 
 
-@pytest.mark.parametrize("name", ["rel_explode_paths", "rel_fn_array", "rel_path_edges", "rel_udtf_path_edges"])
+@pytest.mark.parametrize("name", ["rel_explode_paths", "rel_fn_array", "rel_path_edges", "rel_udtf_path_edges", "rel_window_rank", "rel_window_row_number", "rel_window_dense_rank", "rel_fn_math"])
 def test_all_orders_are_read(spark, name):
     line = table(spark, SF, "lineitem")
     rows, orders = line.count(), line.select("l_orderkey").distinct().count()

@@ -71,7 +71,7 @@ _sql("rel_agg_cube", "select o_orderstatus, o_orderpriority, cast(count(*) as bi
 _sql("rel_agg_grouping_sets", "select o_orderstatus, o_orderpriority, cast(count(*) as bigint) as n from {orders} group by grouping sets ((o_orderstatus), (o_orderpriority), ())")
 _sql("rel_argmin", "select l_partkey, m.k as orderkey, m.p as cents from (select l_partkey, min(struct(p, k)) as m from (select l_partkey, cast(round(l_extendedprice * 100) as bigint) as p, l_orderkey as k from {lineitem}) group by l_partkey)", "select l_partkey, k as orderkey, p as cents from (select *, row_number() over (partition by l_partkey order by p, k) as r from (select l_partkey, cast(round(l_extendedprice * 100) as bigint) as p, l_orderkey as k from lineitem)) where r = 1")
 for _f in ("rank", "row_number", "dense_rank"):
-    _sql(f"rel_window_{_f}", f"select l_orderkey, l_partkey, l_linenumber, cast({_f}() over (partition by l_orderkey order by l_quantity desc, l_partkey, l_linenumber) as bigint) as place from {{lineitem}} where l_orderkey % 10 = 0" if _f == "row_number" else f"select l_orderkey, l_partkey, l_linenumber, cast({_f}() over (partition by l_orderkey order by l_quantity desc) as bigint) as place from {{lineitem}} where l_orderkey % 10 = 0")
+    _sql(f"rel_window_{_f}", f"select l_orderkey, l_partkey, l_linenumber, cast({_f}() over (partition by l_orderkey order by l_quantity desc, l_partkey, l_linenumber) as bigint) as place from {{lineitem}}" if _f == "row_number" else f"select l_orderkey, l_partkey, l_linenumber, cast({_f}() over (partition by l_orderkey order by l_quantity desc) as bigint) as place from {{lineitem}}")
 _sql("rel_window_lead_lag", "select event_id, lead(event_id) over (partition by user_id order by ts, event_id) as next, lag(event_id) over (partition by user_id order by ts, event_id) as previous from {events}")
 _sql("rel_window_running", "select event_id, cast(sum(cast(floor(value * 100) as bigint)) over (partition by user_id order by ts, event_id rows between unbounded preceding and current row) as bigint) as running from {events}")
 _sql(
@@ -109,7 +109,7 @@ QUERIES["rel_udtf_path_edges"] = _udtf
 ORACLE["rel_udtf_path_edges"] = _PATH_EDGES
 _sql("rel_fn_string", "select page_id, lower(regexp_extract(url, '://([^/?#]*)', 1)) as host, cast(length(url) as bigint) as n, split(url, '/')[2] as third from {pages}", "select page_id, lower(regexp_extract(url, '://([^/?#]*)', 1)) as host, cast(length(url) as bigint) as n, split(url, '/')[3] as third from pages")
 _sql("rel_fn_date", "select cast(year(o_orderdate) as bigint) as y, cast(month(o_orderdate) as bigint) as m, cast(count(*) as bigint) as n from {orders} group by 1, 2")
-_sql("rel_fn_math", "select l_orderkey, l_linenumber, cast(least(l_quantity, 10) as bigint) as a, cast(greatest(l_quantity, 40) as bigint) as b, cast(floor(l_quantity / 7) as bigint) as c, cast(abs(l_quantity - 25) as bigint) as d, cast(coalesce(nullif(l_linenumber, 1), 0) as bigint) as e from {lineitem} where l_orderkey % 20 = 0")
+_sql("rel_fn_math", "select l_orderkey, l_linenumber, cast(least(l_quantity, 10) as bigint) as a, cast(greatest(l_quantity, 40) as bigint) as b, cast(floor(l_quantity / 7) as bigint) as c, cast(abs(l_quantity - 25) as bigint) as d, cast(coalesce(nullif(l_linenumber, 1), 0) as bigint) as e from {lineitem}")
 _sql("rel_fn_array", f"select l_orderkey, cast(size(path) as bigint) as n, element_at(path, 1) as first, element_at(path, -1) as last, cast(aggregate(path, cast(0 as bigint), (a, x) -> a + x) as bigint) as total from ({_PATHS})", f"select l_orderkey, count(*) as n, arg_min(l_partkey, pos) as first, arg_max(l_partkey, pos) as last, cast(sum(l_partkey) as bigint) as total from ({_PATHS_DUCK}) group by l_orderkey")
 _sql("rel_fn_map", "select conv_id, coalesce(m['user'], 0) as user_turns, coalesce(m['assistant'], 0) as assistant_turns from (select conv_id, map_from_entries(collect_list(struct(role, n))) as m from (select conv_id, role, count(*) as n from {conversations} where role is not null group by conv_id, role) group by conv_id)", "select conv_id, count(*) filter (role = 'user') as user_turns, count(*) filter (role = 'assistant') as assistant_turns from conversations where role is not null group by conv_id")
 _sql("rel_fn_json", "select event_id, get_json_object(props, '$.k') as k from {events}", "select event_id, json_extract_string(props, '$.k') as k from events")
