@@ -91,6 +91,19 @@ def test_licences(spark, docs, texts, no_docs):
     assert licences.scan(no_docs).count() == 0
 
 
+def test_licences_inside_longer_texts(spark):
+    """Each template as printed, over several paragraphs and lines, and inside a line, with other words around."""
+    around = lambda k: " ".join(f"x{k}y{n}" for n in range(300))
+    forms = [(n, t) for n, ts in sorted(licences.TEMPLATES.items()) for t in ts]
+    rows = []
+    for k, (_, t) in enumerate(forms):
+        w = t.split(" ")
+        printed = "\n\n".join("\n".join(" ".join(w[b : b + 9]) for b in range(a, min(a + 36, len(w)), 9)) for a in range(0, len(w), 36))
+        rows += [(2 * k, f"{around(k)}\n\n{printed}\n\n{around(-k)}"), (2 * k + 1, f"{around(k)}. {t} {around(-k)}")]
+    got = {r["doc_id"]: r["licence"] for r in licences.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {2 * k + j: n for k, (n, _) in enumerate(forms) for j in (0, 1)}
+
+
 def test_licence_prefilter_is_sound():
     """A text without any probe word lacks too many bigrams of every template."""
     for texts in licences.TEMPLATES.values():

@@ -1,6 +1,7 @@
 """Licence scan: normalised text units against licence templates by the Dice coefficient of word bigrams.
 
-DataFrame functions only. A unit is a whole text, a paragraph or a line. Words are lower-cased runs of letters and
+DataFrame functions only. A unit is a whole text, a paragraph, a line, or a window of words of a template's size
+(and a quarter more) that starts at one of the template's bigrams. Words are lower-cased runs of letters and
 digits. For a threshold q a unit with |D| distinct bigrams can reach a template with |T| only if
 |T| q / (2-q) <= |D| <= |T| (2-q) / q, so most units meet no template at all. A unit that reaches q also holds more
 than |T| q / (2-q) of the template's bigrams; so words that together touch more than the remainder cannot all be
@@ -73,11 +74,32 @@ def probe_words(text: str, threshold: float) -> set[str]:
     return chosen
 
 
+def _windows(seen: DataFrame, flat: list[tuple[str, list[str]]], sizes: list[int], threshold: float) -> DataFrame:
+    """(doc_id, tk, licence, dice) of word windows over the whole text, for templates it holds enough bigrams of."""
+    low = threshold / (2 - threshold)
+    w = F.split(F.trim(F.regexp_replace(F.lower("text"), _GAP, " ")), " ")
+    rows = seen.select("doc_id", F.xxhash64("text").alias("tk"), w.alias("w")).where(F.size("w") > 1)
+    pairs = F.zip_with(F.slice("w", F.lit(1), F.size("w") - 1), F.slice("w", F.lit(2), F.size("w") - 1), lambda x, y: F.concat(x, F.lit(" "), y))
+    every = F.array(*map(F.lit, sorted({g for _, grams in flat for g in grams})))
+    rows = rows.select("doc_id", "tk", pairs.alias("g")).withColumn("hits", F.array_intersect("g", every))
+    table = F.array(*(F.struct(F.lit(name).alias("licence"), F.array(*map(F.lit, g)).alias("t"), F.lit(m).alias("m")) for (name, g), m in zip(flat, sizes, strict=True)))
+    met = rows.select("doc_id", "tk", "g", F.explode(F.filter(table, lambda x: F.size(F.array_intersect(x["t"], F.col("hits"))) >= F.size(x["t"]) * low)).alias("x"))
+    starts = F.filter(F.sequence(F.lit(1), F.size("g")), lambda i: F.array_contains(F.col("x.t"), F.element_at(F.col("g"), i)))
+
+    def dice(i, m):
+        own = F.array_distinct(F.slice("g", i, m))
+        return 2.0 * F.size(F.array_intersect(own, F.col("x.t"))) / (F.size(own) + F.size("x.t"))
+
+    more = F.ceil(F.col("x.m") * 1.25).cast("int")
+    best = F.array_max(F.transform(starts, lambda i: F.greatest(dice(i, F.col("x.m")), dice(i, more))))
+    return met.select("doc_id", "tk", F.col("x.licence").alias("licence"), best.alias("dice")).where(F.col("dice") >= threshold)
+
+
 def scan(docs: DataFrame, threshold: float = THRESHOLD, templates: dict[str, tuple[str, ...]] | None = None) -> DataFrame:
     """The best licence of each row of ``docs(doc_id, text, ...)``.
 
     Returns ``doc_id, licence, dice``, a row for each input row: the template with the highest Dice coefficient of at
-    least ``threshold`` over the row's units (ties: least licence name), nulls where none reaches it. Null, empty and
+    least ``threshold`` over the row's units and word windows (ties: least licence name), nulls where none reaches it. Null, empty and
     one-word texts reach none; null or repeated doc_ids are rows like any other; other columns are ignored; an empty
     table gives an empty result. Templates are a short list and stand in the plan as literals.
     """
@@ -99,6 +121,7 @@ def scan(docs: DataFrame, threshold: float = THRESHOLD, templates: dict[str, tup
     dice = 2.0 * F.size(F.array_intersect("g", "x.t")) / (F.col("n") + F.size("x.t"))
     met = met.select("doc_id", "tk", F.col("x.licence").alias("licence"), dice.alias("dice")).where(F.col("dice") >= threshold)
     # the highest coefficient, then the least name: two maxima that both combine map-side
+    met = met.unionByName(_windows(seen, flat, [len(words(t)) - 1 for _, texts in sorted((templates or TEMPLATES).items()) for t in texts], threshold))
     best = met.groupBy("doc_id", "tk", "licence").agg(F.max("dice").alias("dice")).groupBy("doc_id", "tk").agg(F.max("dice").alias("dice"), F.min_by("licence", F.struct(-F.col("dice"), "licence")).alias("licence"))
     best = best.select(F.col("doc_id").alias("d2"), F.col("tk").alias("t2"), "licence", "dice")
     keyed = rows.select("doc_id", F.xxhash64("text").alias("tk"))
