@@ -51,10 +51,12 @@ GRAPH_SQL: dict[str, str] = {
     "power": _chain_sql("l_partkey", 8, _POWER),
     "power_dense": _chain_sql("l_partkey", 1, _POWER),
     "coorder": _both(_CO),
+    "coorder_dense": _both(_CO.replace(" where l_orderkey % 8 = 0", "")),
     "web": _both(_WEB),
     "nation": _NATION,
     "nation_undirected": _both(_NATION),
     "supplier": _chain_sql("l_suppkey", 64),
+    "supplier_dense": _chain_sql("l_suppkey", 1),
     "trade": _both(_TRADE),
     "eventline": "select fid, tid, min(cost) as cost from (select event_id as fid, lead(event_id) over w as tid, cast((floor(epoch(lead(ts) over w))::bigint - floor(epoch(ts))::bigint) // 3600 + 1 as bigint) as cost from events window w as (partition by user_id order by ts, event_id)) where tid is not null group by fid, tid",
 }
@@ -160,7 +162,7 @@ def graph(s: SparkSession, d: str, name: str, threshold: int | None = None) -> G
 
 def node_pairs(s: SparkSession, d: str, name: str, q: int) -> DataFrame:
     """Arithmetic pairs over the ids of graphs whose nodes are not parts."""
-    if name == "supplier":
+    if name.startswith("supplier"):
         n = table(s, d, "supplier").count()
     elif name in ("nation", "nation_undirected"):
         n = 25
@@ -171,7 +173,7 @@ def node_pairs(s: SparkSession, d: str, name: str, q: int) -> DataFrame:
 
 
 def node_pairs_sql(name: str, q: int) -> str:
-    n = "(select count(*) as n from supplier)" if name == "supplier" else "(select 25 as n)" if name.startswith("nation") else None
+    n = "(select count(*) as n from supplier)" if name.startswith("supplier") else "(select 25 as n)" if name.startswith("nation") else None
     return pairs_sql(q) if n is None else f"select qid, s, t from (select i as qid, (i * 7919 + 17) % n as s, (i * 104729 + 1031) % n as t from range({q}) r(i), {n}) where s <> t"
 
 
@@ -195,6 +197,8 @@ _sp("sp_direction_alternate", "random_dense", lambda g, p: search.bidirectional_
 _sp("sp_bidirectional_bfs", "random", search.bidirectional_bfs, 20)
 _sp("sp_bidirectional_bfs_coorder", "coorder", search.bidirectional_bfs, 20)
 _sp("sp_undirected", "coorder", search.bidirectional_set, 10)
+_sp("sp_undirected_dense", "coorder_dense", search.bidirectional_set, 10)
+_sp("sp_bidirectional_dense", "supplier_dense", search.bidirectional, 6)
 for _l in (5, 10, 20):
     _sp(f"sp_segmented_{_l}", "random", lambda g, p, x=_l: segments.segmented(g, p, x), 20, _l)
 _sp("sp_segmented_power_10", "power", lambda g, p: segments.segmented(g, p, 10), 20, 10)

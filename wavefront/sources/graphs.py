@@ -82,10 +82,12 @@ GRAPHS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "power": power_graph,
     "power_dense": lambda s, d: power_graph(s, d, 1),
     "coorder": co_order_graph,
+    "coorder_dense": lambda s, d: co_order_graph(s, d, 1),
     "web": web_graph,
     "nation": nation_graph,
     "nation_undirected": nation_undirected,
     "supplier": supplier_graph,
+    "supplier_dense": lambda s, d: supplier_graph(s, d, 1),
     "trade": trade_graph,
     "eventline": event_graph,
 }
