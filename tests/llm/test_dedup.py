@@ -107,7 +107,7 @@ def test_repeats_match_brute_force(docs, texts):
 
 
 def test_hot_buckets_give_the_same(docs, monkeypatch):
-    monkeypatch.setattr(suffix_dedup, "BUCKET_RUNS", 1)
+    monkeypatch.setattr(suffix_dedup, "BUCKET_CLASSES", 1)
     a = suffix_dedup.remove_repeats(docs)
     assert sorted(r["kept_sha256"] for r in a.collect()) == sorted(hashlib.sha256(k).hexdigest() for k, _ in removed([(r["doc_id"], r["text"]) for r in docs.collect()]))
 

@@ -51,7 +51,7 @@ def test_bpe_equals_the_library(docs, texts, no_docs):
 def test_bpe_hard_words(text):
     from tokenizers import Tokenizer
 
-    b = bpe.Bpe(tokenizer_path())
+    b = bpe.load(tokenizer_path())
     code = b.encode(text)
     assert np.frombuffer(code, "<u4").tolist() == Tokenizer.from_file(tokenizer_path()).encode(text, add_special_tokens=False).ids
     assert b.decode(code) == text

@@ -21,14 +21,14 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from wavefront.llm.bytehash import give_back
+from wavefront.llm.workers import give_back, held, small_batches
 
 # The word pattern of the vocabulary's byte-level splitter, with white space spelled out.
 _WS = r"\t-\r \x85\xa0  -     　"
 WORD_PATTERN = rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{_WS}\p{{L}}\p{{N}}]+|[{_WS}]+(?![^{_WS}])|[{_WS}]+"
-KEPT_WORDS = 400_000
-KEPT_LENGTH = 64
-KEPT_PAIRS = 1_000_000
+KEPT_WORDS = 150_000
+KEPT_LENGTH = 32
+KEPT_PAIRS = 250_000
 _PACKED = [struct.Struct(f"<{k}I") for k in range(17)]
 
 
@@ -39,12 +39,27 @@ def _byte_letters() -> dict[str, int]:
     return {chr(b): b for b in plain} | {chr(256 + k): b for k, b in enumerate(rest)}
 
 
+def refuse_other_rules(spec: dict) -> None:
+    """Raise for a file whose rules are not the ones implemented here: byte-level words, plain merges, bare specials."""
+    model, before = spec["model"], spec.get("pre_tokenizer") or {}
+    wrong = [
+        ("model", model.get("type", "BPE") != "BPE"),
+        ("normalizer", spec.get("normalizer") is not None),
+        ("pre_tokenizer", before.get("type") != "ByteLevel" or before.get("add_prefix_space", True) or not before.get("use_regex", True)),
+        ("decoder", (spec.get("decoder") or {}).get("type") != "ByteLevel"),
+        ("merges", any(model.get(k) for k in ("dropout", "continuing_subword_prefix", "end_of_word_suffix", "byte_fallback", "ignore_merges"))),
+        ("added_tokens", any(t.get(k) for t in spec["added_tokens"] for k in ("single_word", "lstrip", "rstrip"))),
+    ]
+    if found := [name for name, bad in wrong if bad]:
+        raise ValueError(f"this vocabulary file has rules that the encoder does not know: {', '.join(found)}")
+
+
 class Bpe:
     """Encoder and decoder for one vocabulary file; ids below are merge ranks, least first."""
 
-    def __init__(self, path: str):
-        with open(path, encoding="utf-8") as f:
-            spec = json.load(f)
+    def __init__(self, file: bytes):
+        spec = json.loads(file)
+        refuse_other_rules(spec)
         model, letter = spec["model"], _byte_letters()
         as_bytes = lambda s: bytes(letter[c] for c in s)
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}
@@ -71,7 +86,7 @@ class Bpe:
             self.finder.add_word(t.decode("latin-1"), (len(t), i))
         self.finder.make_automaton()
         self.shorter: dict[int, int] = {}
-        self.fits: dict[tuple[int, int], bool] = {}
+        self.fits: dict[int, bool] = {}
         self.words: dict[str, bytes] = {}
         self.split = regex.compile(WORD_PATTERN).findall
         self.cut_special = regex.compile("(" + "|".join(regex.escape(s) for s in sorted(self.special, key=len, reverse=True)) + ")").split if self.special else None
@@ -88,11 +103,12 @@ class Bpe:
 
     def compatible(self, left: int, right: int) -> bool:
         """Would the merges leave the border between these two tokens alone?"""
-        known = self.fits.get((left, right))
+        pair = left << 32 | right
+        known = self.fits.get(pair)
         if known is None:
             if len(self.fits) >= KEPT_PAIRS:
                 self.fits.clear()
-            known = self.fits[left, right] = self._compatible(left, right)
+            known = self.fits[pair] = self._compatible(left, right)
         return known
 
     def _compatible(self, left: int, right: int) -> bool:
@@ -175,28 +191,17 @@ class Bpe:
         return self.store[np.arange(int(ends[-1])) + np.repeat(start - (ends - size), size)].tobytes()
 
 
-_loaded: dict[str, Bpe] = {}
-
-
 def load(name: str) -> Bpe:
-    if name not in _loaded:
-        _loaded[name] = Bpe(name)
-    return _loaded[name]
+    with open(name, "rb") as f:
+        return Bpe(f.read())
 
 
 def _coded(spec: bytes, key: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import tempfile
-
-        if key not in _loaded:
-            with tempfile.NamedTemporaryFile(suffix=".json") as f:
-                f.write(spec)
-                f.flush()
-                _loaded[key] = Bpe(f.name)
-        bpe = _loaded[key]
+        bpe = held(key, lambda: Bpe(spec))
         for whole in batches:
-            for at in range(0, whole.num_rows, 1000):
-                batch = whole.slice(at, 1000)
+            for at in range(0, whole.num_rows, 200):
+                batch = whole.slice(at, 200)
                 n, sha, back, ids = [], [], [], []
                 for text in batch.column(1).to_pylist():
                     code = bpe.encode(text or "")
@@ -222,4 +227,4 @@ def encode_documents(docs: DataFrame, tokenizer: str) -> DataFrame:
         spec = f.read()
     key = hashlib.sha256(spec).hexdigest()
     out = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string, ids binary"
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(_coded(spec, key), out)
+    return small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(_coded(spec, key), out)

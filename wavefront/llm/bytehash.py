@@ -6,8 +6,6 @@ look-ups. Sums are modulo 2**64 with an odd base; results pass a finaliser befor
 
 from __future__ import annotations
 
-import ctypes
-
 import numpy as np
 import pyarrow as pa
 
@@ -79,11 +77,3 @@ def spans_of_bytes(offsets: np.ndarray, most: int) -> list[tuple[int, int]]:
         i = out[-1][1]
     return out
 
-
-def give_back() -> None:
-    """Return freed memory of a batch to the system; workers live on from stage to stage and share their executor's bound."""
-    pa.default_memory_pool().release_unused()
-    try:
-        ctypes.CDLL(None).malloc_trim(0)
-    except (OSError, AttributeError):
-        return

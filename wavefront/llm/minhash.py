@@ -25,7 +25,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wavefront.llm.bitmap import marked, marks
-from wavefront.llm.bytehash import give_back, mix, prefix_sums, range_hash, spans_of_bytes, text_buffer
+from wavefront.llm.bytehash import mix, prefix_sums, range_hash, spans_of_bytes, text_buffer
+from wavefront.llm.workers import give_back, let_go, small_batches
 from wavefront.operators.components import connected_components
 from wavefront.session import cut
 
@@ -131,6 +132,7 @@ def _digest(s: np.ndarray) -> tuple[int, int]:
 
 
 def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    let_go()
     for batch in batches:
         data, offsets = text_buffer(batch.column(1))
         for i, j in spans_of_bytes(offsets, STEP):
@@ -149,6 +151,7 @@ def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _confirm(percent: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        let_go()
         kept_id, kept_set = None, None
         for whole in batches:
             for at in range(0, whole.num_rows, PAIRS):
@@ -247,6 +250,7 @@ def _paired(percent: int):
                     yield u, right[j][1]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        let_go()
         group, rows = None, []
         for whole in batches:
             out: list[tuple[int, int]] = []
@@ -278,7 +282,7 @@ def near_duplicates(docs: DataFrame, percent: int = 85) -> DataFrame:
     nothing. A null doc_id links with nothing and keeps a null component. Rows that repeat a doc_id are one node
     with each row's links. Other columns are ignored; an empty table gives an empty result.
     """
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    docs = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     sig = cut(docs.mapInArrow(_sign, "doc_id long, n_shingles long, d1 long, d2 long, bands array<long>"))
     some = sig.where("n_shingles > 0 and doc_id is not null")
     classes = cut(some.groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("n")))

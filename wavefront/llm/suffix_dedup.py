@@ -6,12 +6,15 @@ strings have equal anchors at equal offsets, so they share a bucket. Starts that
 form a run, so a bucket row stands for about a hundred suffixes.
 
 1. Anchors that occur once cannot hold a repeat and leave after one narrow count (8-byte keys, summed map-side).
-2. Of the rest, runs whose whole text (128-bit key) occurs again are repeats throughout, with no text moved.
-3. Buckets with several different run texts are sorted: one text per distinct run comes together by anchor, in blocks of
-   bounded bytes, and ``suffix_order.repeated_starts`` orders the block's suffixes with cover-sample ranks.
-   A bucket with very many different runs is dealt out by the strings themselves instead (their 128-bit keys), so no
-   task ever holds an unbounded bucket.
-4. Starts become byte intervals, are gathered by document and cut out of the text.
+2. Runs of one text (128-bit key) are one class with a count; one text of each class is moved.
+3. Classes come together by anchor, in blocks of bounded bytes, and ``suffix_order.repeated_starts`` orders the block's
+   suffixes with cover-sample ranks. Every repeat comes out of that order, those of whole runs too: a suffix repeats
+   if the classes that hold it stand for two places or more.
+4. A bucket of more classes than a block should hold is dealt out by the bytes that come next. A string at offset o of
+   its anchor shows o bytes before and 240 - o bytes after it, so either half of the missing bytes lies on its left or
+   half on its right: its run is cut in two there, each part goes to the bucket of those bytes, and equal parts are one
+   class again. After eight such steps a bucket knows all 400 bytes and is one class, so no block is unbounded.
+5. Starts become byte intervals, are gathered by document and cut out of the text.
 
 ``without_repeats`` also cuts passages of 51 words or more, however few bytes they take: a text becomes the 8-byte codes
 of its pairs of neighbouring words, where 400 bytes are 50 codes, that is 51 words.
@@ -21,25 +24,27 @@ from __future__ import annotations
 
 import hashlib
 import re
+import struct
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wavefront.llm.bitmap import marked, marks
-from wavefront.llm.bytehash import give_back, mix, prefix_sums, range_hash, spans_of_bytes, text_buffer
+from wavefront.llm.bytehash import mix, prefix_sums, range_hash, spans_of_bytes, text_buffer
 from wavefront.llm.suffix_order import LENGTH, repeated_starts
+from wavefront.llm.workers import give_back, let_go, small_batches
 from wavefront.session import cut
 
 GRAM = 160
 WINDOW = LENGTH - GRAM + 1
 PIECE = 1 << 18
-BLOCK_BYTES = 1 << 20
-BUCKET_RUNS = 512
+SPARE = LENGTH - GRAM
+BLOCK_BYTES = 1 << 19
+BUCKET_CLASSES = 512
 CODE = 8
 PASSAGE_WORDS = LENGTH // CODE + 1
 _LOW = np.uint64((1 << 20) - 1)
@@ -96,75 +101,109 @@ def anchor_runs(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, ...]
 
 
 def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(doc_id, tk, text) -> rows (gram, run_key, doc_id, tk, loc); loc packs start, run length and anchor offset."""
+    """(doc_id, tk, text) -> rows (gram, k1, k2, doc_id, tk, loc); loc packs start, run length and anchor offset."""
+    let_go()
     for batch in batches:
         data, offsets = text_buffer(batch.column(2))
         row, first, last, anchor, gram = anchor_runs(data, offsets)
         whole = memoryview(data)
         lo, hi = (offsets[row] + first).tolist(), (offsets[row] + last + LENGTH).tolist()
-        key = np.fromiter((xxhash.xxh3_64_intdigest(whole[a:b]) for a, b in zip(lo, hi, strict=True)), np.uint64, len(lo))
+        key = np.frombuffer(b"".join(xxhash.xxh3_128_digest(whole[a:b]) for a, b in zip(lo, hi, strict=True)), "<i8").reshape(-1, 2)
         loc = (first << 16) | ((last - first) << 8) | (anchor - first)
         take = pa.array(row)
-        yield pa.RecordBatch.from_arrays([pa.array(gram.view(np.int64)), pa.array(key.view(np.int64)), batch.column(0).take(take), batch.column(1).take(take), pa.array(loc)], names=["gram", "run_key", "doc_id", "tk", "loc"])
+        yield pa.RecordBatch.from_arrays([pa.array(gram.view(np.int64)), pa.array(key[:, 0].copy()), pa.array(key[:, 1].copy()), batch.column(0).take(take), batch.column(1).take(take), pa.array(loc)], names=["gram", "k1", "k2", "doc_id", "tk", "loc"])
         give_back()
 
 
 def _grams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    let_go()
     for batch in batches:
         yield pa.RecordBatch.from_arrays([pa.array(anchor_runs(*text_buffer(batch.column(0)))[4].view(np.int64))], names=["gram"])
         give_back()
 
 
-_SLICE = "gram long, weight long, many boolean, doc_id long, tk long, loc long, bytes binary"
+#: A class in its bucket: one text, its count, where its anchor lies and what the bucket knows to its left and right.
+_CLASS = pa.schema([("bucket", pa.int64()), ("k1", pa.int64()), ("k2", pa.int64()), ("weight", pa.int64()), ("lead", pa.int32()), ("left", pa.int32()), ("right", pa.int32()), ("bytes", pa.binary())])
+_PART = pa.schema([*_CLASS, ("from_bucket", pa.int64()), ("from_k1", pa.int64()), ("from_k2", pa.int64())])
+_DDL = "bucket long, k1 long, k2 long, weight long, lead int, left int, right int, bytes binary"
+
+
+def _table(rows: list[tuple], schema: pa.Schema) -> pa.RecordBatch:
+    columns = zip(*rows, strict=True) if rows else [[]] * len(schema)
+    return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(columns, schema, strict=True)], schema=schema)
 
 
 def _slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    schema = pa.schema([("gram", pa.int64()), ("weight", pa.int64()), ("many", pa.bool_()), ("doc_id", pa.int64()), ("tk", pa.int64()), ("loc", pa.int64()), ("bytes", pa.binary())])
+    """(doc_id, tk, text, wanted) -> the classes whose text is taken from this row, and whether their bucket is to be split."""
+    let_go()
+    schema = pa.schema([*_CLASS, ("many", pa.bool_())])
     for batch in batches:
         data, offsets = text_buffer(batch.column(2))
         whole = memoryview(data)
-        rows = []
-        size = 0
-        for k, (doc, tk, wanted) in enumerate(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(3).to_pylist(), strict=True)):
+        rows, size = [], 0
+        for k, wanted in enumerate(batch.column(3).to_pylist()):
             for w in wanted:
                 loc = w["loc"]
                 a = int(offsets[k]) + (loc >> 16)
                 piece = bytes(whole[a : a + (loc >> 8 & 255) + LENGTH])
-                rows.append((w["gram"], w["weight"], w["many"], doc, tk, loc, piece))
+                rows.append((w["gram"], w["k1"], w["k2"], w["weight"], loc & 255, 0, 0, piece, w["many"]))
                 size += len(piece)
-                if size > 8 << 20:
-                    yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), schema, strict=True)], schema=schema)
+                if size > 2 << 20:
+                    yield _table(rows, schema)
                     rows, size = [], 0
         if rows:
-            yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), schema, strict=True)], schema=schema)
+            yield _table(rows, schema)
+        give_back()
+
+
+def parts_of(bucket: int, lead: int, left: int, right: int, text: bytes) -> Iterator[tuple[int, int, int, int, bytes]]:
+    """A run cut where its strings show the next bytes on their left or on their right: (bucket, lead, left, right, text)."""
+    low = lead - (len(text) - LENGTH)
+    slack = SPARE - left - right
+    step = (slack + 1) // 2
+    border = left + step  # strings from this offset on show ``step`` more bytes on the left, the others slack - step + 1 on the right
+    if lead >= border:
+        ctx = text[lead - border : lead - left]
+        yield xxhash.xxh3_64_intdigest(struct.pack("<qb", bucket, 0) + ctx), lead, border, right, text[: lead - max(low, border) + LENGTH]
+    if low < border:
+        at, more = lead + GRAM + right, slack - step + 1
+        ctx = text[at : at + more]
+        yield xxhash.xxh3_64_intdigest(struct.pack("<qb", bucket, 1) + ctx), min(lead, border - 1), left, right + more, text[max(0, lead - border + 1) :]
+
+
+def _split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        rows = []
+        for bucket, k1, k2, weight, lead, left, right, text in zip(*(batch.column(k).to_pylist() for k in range(8)), strict=True):
+            for b, *rest, piece in parts_of(bucket, lead, left, right, text):
+                a, c = struct.unpack("<qq", xxhash.xxh3_128_digest(struct.pack("<q", rest[0]) + piece))
+                rows.append((b - (b >> 63 << 64), a, c, weight, *rest, piece, bucket, k1, k2))
+        yield _table(rows, _PART)
+        give_back()
 
 
-def _intervals(doc: list, tk: list, start: list, flags: list[np.ndarray]) -> pa.RecordBatch:
-    """Runs of true flags as (doc_id, tk, first start, last start)."""
-    out: tuple[list, list, list, list] = ([], [], [], [])
-    for d, t, s, f in zip(doc, tk, start, flags, strict=True):
-        edge = np.diff(np.concatenate(([0], f.view(np.int8), [0])))
-        for a, b in zip(np.flatnonzero(edge == 1).tolist(), np.flatnonzero(edge == -1).tolist(), strict=True):
-            for column, x in zip(out, (d, t, s + a, s + b - 1), strict=True):
-                column.append(x)
-    return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in out], names=["doc_id", "tk", "s", "e"])
+_FOUND = pa.schema([("bucket", pa.int64()), ("k1", pa.int64()), ("k2", pa.int64()), ("hi", pa.int32()), ("lo", pa.int32())])
 
 
 def _sorted_buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Slices in order of gram -> repeated starts, a block of whole buckets at a time."""
+    """Classes in order of (bucket, key) -> their repeated strings as runs of offsets hi..lo from the anchor, a block of whole buckets at a time."""
+    let_go()
     rows: list[tuple] = []
     size = 0
 
     def done(block: list[tuple]) -> pa.RecordBatch:
-        gram, weight, doc, tk, loc, text = zip(*block, strict=True)
-        loc = np.array(loc, np.int64)
-        flags = repeated_starts(list(text), np.unique(np.array(gram, np.int64), return_inverse=True)[1], loc & 255, np.array(weight, np.int64))
-        once = [k for k, w in enumerate(weight) if w == 1]
-        return _intervals([doc[k] for k in once], [tk[k] for k in once], (loc[once] >> 16).tolist(), [flags[k] for k in once])
+        bucket, k1, k2, weight, lead, text = zip(*block, strict=True)
+        flags = repeated_starts(list(text), np.unique(np.array(bucket, np.int64), return_inverse=True)[1], np.array(lead, np.int64), np.array(weight, np.int64))
+        out = []
+        for b, x, y, a, f in zip(bucket, k1, k2, lead, flags, strict=True):
+            edge = np.diff(np.concatenate(([0], f.view(np.int8), [0])))
+            out += [(b, x, y, a - s, a - e + 1) for s, e in zip(np.flatnonzero(edge == 1).tolist(), np.flatnonzero(edge == -1).tolist(), strict=True)]
+        return _table(out, _FOUND)
 
     for batch in batches:
-        columns = [batch.column(k).to_pylist() for k in range(6)]
-        for row in zip(*columns, strict=True):
+        for row in zip(*(batch.column(k).to_pylist() for k in range(6)), strict=True):
+            if rows and row[:3] == rows[-1][:3]:
+                continue  # a row that stands in the table twice gives its texts twice
             if size > BLOCK_BYTES and row[0] != rows[-1][0]:
                 yield done(rows)
                 rows, size = [], 0
@@ -175,31 +214,11 @@ def _sorted_buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatc
         yield done(rows)
 
 
-def _strings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Slices -> a row for each string: its 128-bit key, the slice's weight and where it starts."""
-    names = ["k1", "k2", "weight", "doc_id", "tk", "s"]
-
-    def made(rows: list[tuple]) -> pa.RecordBatch:
-        n = [len(text) - LENGTH + 1 for *_, text in rows]
-        key = np.frombuffer(b"".join(xxhash.xxh3_128_digest(text[s : s + LENGTH]) for (*_, text), m in zip(rows, n, strict=True) for s in range(m)), "<i8").reshape(-1, 2)
-        each = np.repeat(np.arange(len(rows)), n)
-        take = pa.array(each)
-        columns = [pa.array([r[k] for r in rows], pa.int64()).take(take) for k in range(3)]
-        start = np.repeat([r[3] >> 16 for r in rows], n) + np.arange(len(each)) - np.repeat(np.cumsum(n) - n, n)
-        return pa.RecordBatch.from_arrays([pa.array(key[:, 0].copy()), pa.array(key[:, 1].copy()), *columns, pa.array(start, pa.int64())], names=names)
-
-    for batch in batches:
-        for at in range(0, batch.num_rows, 200):
-            part = batch.slice(at, 200)
-            rows = list(zip(*(part.column(k).to_pylist() for k in range(5)), strict=True))
-            if rows:
-                yield made(rows)
-
-
 def _cut_texts(keep: bool):
     """Rows are cut a few megabytes at a time, so a batch's texts and what is left of them are never held at once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        let_go()
         kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.binary()]
         for batch in batches:
             data, offsets = text_buffer(batch.column(1))
@@ -237,6 +256,7 @@ def word_codes(data: np.ndarray, offsets: np.ndarray) -> list[bytes]:
 
 
 def _coded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    let_go()
     for batch in batches:
         data, offsets = text_buffer(batch.column(2))
         for i, j in spans_of_bytes(offsets, 2 << 20):
@@ -255,32 +275,53 @@ def repeated_passages(docs: DataFrame) -> DataFrame:
 
 def repeated_intervals(docs: DataFrame) -> DataFrame:
     """``(doc_id, tk, s, e)``: string starts s..e of the row with that id and text key repeat elsewhere."""
-    runs = docs.select("doc_id", "tk", "text").mapInArrow(_runs, "gram long, run_key long, doc_id long, tk long, loc long")
+    docs = small_batches(docs)
+    runs = docs.select("doc_id", "tk", "text").mapInArrow(_runs, "gram long, k1 long, k2 long, doc_id long, tk long, loc long")
     often = docs.select("text").mapInArrow(_grams, "gram long").groupBy("gram").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("gram")
     often = cut(often)
     shared = cut(runs.join(often.hint("merge"), "gram", "left_semi"))
-    order = F.xxhash64("doc_id", "tk", "loc")
-    texts = cut(
-        shared.withColumn("o", order)
-        .groupBy("gram", "run_key")
-        .agg(F.count(F.lit(1)).alias("weight"), *(F.min_by(c, "o").alias(c) for c in ("doc_id", "tk", "loc")))
-    )
-    again = texts.where("weight > 1").select("gram", "run_key")
-    whole = shared.join(again.hint("merge"), ["gram", "run_key"], "left_semi").select("doc_id", "tk", F.shiftright("loc", 16).alias("s"), (F.shiftright("loc", 16) + F.shiftright("loc", 8).bitwiseAND(255)).alias("e"))
-    mixed = cut(texts.groupBy("gram").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("gram", (F.col("n") > BUCKET_RUNS).alias("many")))
-    wanted = texts.join(mixed.hint("merge"), "gram").select("doc_id", "tk", F.struct("gram", "weight", "many", "loc").alias("w"))
-    by_doc = wanted.groupBy("doc_id", "tk").agg(F.collect_list("w").alias("w"))
-    by_doc = cut(by_doc.select(F.col("doc_id").alias("d2"), F.col("tk").alias("t2"), "w"))
+    first = F.min(F.struct(F.xxhash64("doc_id", "tk", "loc"), "doc_id", "tk", "loc")).alias("one")
+    classes = cut(shared.groupBy("gram", "k1", "k2").agg(F.count(F.lit(1)).alias("weight"), first).select("gram", "k1", "k2", "weight", "one.doc_id", "one.tk", "one.loc"))
+    large = cut(classes.groupBy("gram").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > BUCKET_CLASSES).select("gram", F.lit(True).alias("large")))
+    wanted = classes.join(large.hint("merge"), "gram", "left").select("doc_id", "tk", F.struct("gram", "k1", "k2", "weight", F.coalesce("large", F.lit(False)).alias("many"), "loc").alias("w"))
+    by_doc = cut(wanted.groupBy(F.col("doc_id").alias("d2"), F.col("tk").alias("t2")).agg(F.collect_list("w").alias("w")))
     holders = marked(docs.select("doc_id", "tk", "text"), marks(by_doc, "t2"), "tk").where("hit")
     joined = holders.select("doc_id", "tk", "text").join(by_doc.hint("merge"), F.col("doc_id").eqNullSafe(F.col("d2")) & (F.col("tk") == F.col("t2")))
-    slices = joined.select("doc_id", "tk", "text", "w").mapInArrow(_slices, _SLICE)
-    few = slices.where("not many").select("gram", "weight", "doc_id", "tk", "loc", "bytes").repartition("gram").sortWithinPartitions("gram")
-    from_few = few.mapInArrow(_sorted_buckets, "doc_id long, tk long, s long, e long")
-    strings = slices.where("many").select("weight", "doc_id", "tk", "loc", "bytes").mapInArrow(_strings, "k1 long, k2 long, weight long, doc_id long, tk long, s long")
-    strings = cut(strings)
-    twice = cut(strings.groupBy("k1", "k2").agg(F.sum("weight").alias("n")).where("n > 1").select("k1", "k2"))
-    from_many = strings.where("weight = 1").join(twice.hint("merge"), ["k1", "k2"], "left_semi").select("doc_id", "tk", "s", F.col("s").alias("e"))
-    return whole.unionByName(from_few).unionByName(from_many)
+    slices = joined.select("doc_id", "tk", "text", "w").mapInArrow(_slices, f"{_DDL}, many boolean")
+    sorting, links = slices.where("not many").drop("many"), []
+    if not large.isEmpty():
+        parts, links = _dealt_out(slices.where("many").drop("many").dropDuplicates(["bucket", "k1", "k2"]))
+        sorting = sorting.unionByName(parts)
+    sorting = sorting.select("bucket", "k1", "k2", "weight", "lead", "bytes").repartition("bucket").sortWithinPartitions("bucket", "k1", "k2")
+    found = sorting.mapInArrow(_sorted_buckets, "bucket long, k1 long, k2 long, hi int, lo int")
+    key = ["bucket", "k1", "k2"]
+    found = cut(found)
+    for table in reversed(links):  # what holds for a part holds for the classes it was cut from; buckets of two steps never bear one name
+        up = found.join(table.hint("merge"), key).select(F.col("from_bucket").alias("bucket"), F.col("from_k1").alias("k1"), F.col("from_k2").alias("k2"), "hi", "lo")
+        found = cut(found.unionByName(up).distinct())
+    found = found.withColumnRenamed("bucket", "gram")
+    anchor = F.shiftright("loc", 16) + F.col("loc").bitwiseAND(255)
+    return shared.join(found.hint("merge"), ["gram", "k1", "k2"]).select("doc_id", "tk", (anchor - F.col("hi")).alias("s"), (anchor - F.col("lo")).alias("e"))
+
+
+def _dealt_out(large: DataFrame) -> tuple[DataFrame, list[DataFrame]]:
+    """Classes of large buckets -> classes of buckets of bounded size, and the tables that lead back, one a step.
+
+    A part that is alone has no repeat and goes. At most eight steps: the bytes not yet known halve in each.
+    """
+    small, links = None, []
+    while True:
+        parts = cut(large.mapInArrow(_split, f"{_DDL}, from_bucket long, from_k1 long, from_k2 long"))
+        links.append(parts.select("bucket", "k1", "k2", "from_bucket", "from_k1", "from_k2"))
+        same = [F.first(c).alias(c) for c in ("lead", "left", "right", "bytes")]
+        merged = cut(parts.groupBy("bucket", "k1", "k2").agg(F.sum("weight").alias("weight"), *same))
+        sizes = cut(merged.groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.sum("weight").alias("all")).where("all > 1").select("bucket", "n"))
+        sized = merged.join(sizes.hint("merge"), "bucket")
+        few = sized.where(F.col("n") <= BUCKET_CLASSES).drop("n")
+        small = few if small is None else small.unionByName(few)
+        if sizes.where(F.col("n") > BUCKET_CLASSES).isEmpty():
+            return small, links
+        large = sized.where(F.col("n") > BUCKET_CLASSES).drop("n")
 
 
 def remove_repeats(docs: DataFrame, keep: bool = True) -> DataFrame:
@@ -312,7 +353,7 @@ def with_spans(docs: DataFrame, passages: bool = False) -> DataFrame:
     found = repeated_intervals(slim).withColumn("words", F.lit(False))
     if passages:
         found = found.unionByName(repeated_passages(slim).withColumn("words", F.lit(True)))
-    spans = found.groupBy("doc_id", "tk").agg(F.collect_list(F.struct("s", "e", "words")).alias(SPANS))
+    spans = found.groupBy("doc_id", "tk").agg(F.collect_set(F.struct("s", "e", "words")).alias(SPANS))
     spans = cut(spans.select(F.col("doc_id").alias("_d2"), F.col("tk").alias("_t2"), SPANS))
     split = marked(keyed, marks(spans, "_t2"), "_tk")
     names = [f"`{c}`" for c in docs.columns]
@@ -339,15 +380,28 @@ def _byte_spans(text: bytes, spans: list) -> list[tuple[int, int]]:
     return [(words[x["s"]][0], words[x["e"] + PASSAGE_WORDS - 1][1] - LENGTH) if x["words"] else (x["s"], x["e"]) for x in spans]
 
 
-def _without(texts: pd.Series, spans: pd.Series) -> pd.Series:
-    return pd.Series([cut_text(b, _byte_spans(b, own))[0].decode("utf-8", "ignore") for b, own in zip(map(str.encode, texts), spans, strict=True)], dtype="object")
+def _without(place: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        let_go()
+        for batch in batches:
+            texts = []
+            for text, own in zip(batch.column(place), batch.column(batch.num_columns - 1), strict=True):
+                raw = text.as_py().encode()
+                texts.append(cut_text(raw, _byte_spans(raw, own.as_py()))[0].decode("utf-8", "ignore"))
+            columns = batch.columns[:-1]
+            columns[place] = pa.array(texts, batch.schema.field(place).type)
+            yield pa.RecordBatch.from_arrays(columns, schema=pa.schema(list(batch.schema)[:-1]))
+            give_back()
+
+    return run
 
 
 def without_repeats(docs: DataFrame) -> DataFrame:
     """``docs`` with repeated passages (400 bytes or 51 words) cut from ``text`` (halves of characters at a cut go too) and n_chars, if any, set anew."""
     rows = with_spans(docs, passages=True)
     rest = rows.where(F.col(SPANS).isNull()).drop(SPANS)
-    hit = rows.where(F.col(SPANS).isNotNull()).withColumn("text", F.pandas_udf(_without, "string")(F.col("text").cast("string"), F.col(SPANS))).drop(SPANS)
+    found = rows.where(F.col(SPANS).isNotNull()).withColumn("text", F.col("text").cast("string"))
+    hit = found.mapInArrow(_without(docs.columns.index("text")), found.drop(SPANS).schema)
     if "n_chars" in docs.columns:
         hit = hit.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
     return rest.unionByName(hit.select(*(f"`{c}`" for c in docs.columns)))

@@ -21,7 +21,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from wavefront.llm.bytehash import give_back
+from wavefront.llm.workers import give_back, let_go, small_batches
 
 BITS = 18
 FIT_ROWS = 6000
@@ -124,6 +124,7 @@ def graded(rows: list[tuple[np.ndarray, np.ndarray]], toxic: np.ndarray) -> np.n
 
 
 def _featured(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    let_go()
     for batch in batches:
         rows = [features(t or "") for t in batch.column(0).to_pylist()]
         yield pa.RecordBatch.from_arrays([batch.column(1), pa.array([c.tolist() for c, _ in rows], pa.list_(pa.int32())), pa.array([v.tolist() for _, v in rows], pa.list_(pa.int32()))], names=["toxic", "f", "n"])
@@ -132,7 +133,7 @@ def _featured(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def fit_on(docs: DataFrame, labels: DataFrame, rows: int = FIT_ROWS) -> Ordinal:
     known = labels.where("toxic in (0, 1) and doc_id is not null").groupBy(F.col("doc_id").alias("_id")).agg(F.max("toxic").cast("int").alias("toxic"))
     chosen = known.orderBy(F.xxhash64(F.lit(5), "_id"), "_id").limit(rows)
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    texts = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     joined = texts.join(F.broadcast(chosen), F.col("doc_id") == F.col("_id")).where("text is not null").dropDuplicates(["doc_id"])
     sample = joined.select("text", "toxic").mapInArrow(_featured, "toxic int, f array<int>, n array<int>").toArrow()
     flat = lambda name, kind: [np.asarray(x.values, kind) for x in sample.column(name)]
@@ -147,10 +148,12 @@ def _scored(model: Ordinal):
     weights, cuts = model.weights.astype(np.float32), model.cuts
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        let_go()
         own = Ordinal(weights.astype(np.float64), cuts)
         for batch in batches:
             found = [own.severity(features(t or "")[0]) for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([s for s, _ in found], pa.float64()), pa.array([g for _, g in found], pa.int32())], names=["doc_id", "severity", "grade"])
+            give_back()
 
     return run
 
@@ -175,6 +178,7 @@ def drop_toxic(docs: DataFrame, labels: DataFrame, reject_at: float = REJECT_AT,
     weights, cuts, place = model.weights.astype(np.float32), model.cuts, docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        let_go()
         own = Ordinal(weights.astype(np.float64), cuts)
         for whole in batches:
             for at in range(0, whole.num_rows, 1000):
