@@ -17,9 +17,15 @@ def ensure_checkpoint_dir(spark: SparkSession) -> None:
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Materialise ``df`` in the shared checkpoint folder; the plan that follows starts from a leaf."""
-    ensure_checkpoint_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+    """Materialise ``df`` in the shared checkpoint folder; the plan that follows starts from a leaf.
+
+    A checkpoint inherits its plan's size estimate, and a join's estimate is the product of its sides: over the rounds
+    of a loop it would grow to numbers of millions of digits. So the leaf is made anew over the checkpoint's rows.
+    """
+    spark = df.sparkSession
+    ensure_checkpoint_dir(spark)
+    kept = df.checkpoint(eager=True)._jdf
+    return DataFrame(spark._jsparkSession.internalCreateDataFrame(kept.queryExecution().toRdd(), kept.schema(), False), spark)
 
 
 def shuffle_width(spark: SparkSession) -> int:
