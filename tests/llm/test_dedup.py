@@ -57,7 +57,7 @@ def test_one_of_each_keeps_columns_and_one_of_a_class(docs):
 def test_original_in_the_middle_of_its_copies(spark, monkeypatch, stars):
     """Copies are near the original and not near each other; with no further stars the blocks alone must find it."""
     monkeypatch.setattr(minhash, "STARS", stars)
-    monkeypatch.setattr(minhash, "BLOCK", 8)
+    monkeypatch.setattr(minhash, "BLOCK_BYTES", 8 * 8 * 400)
     r = random.Random(5)
     base = [f"w{r.randrange(10**6)}" for _ in range(404)]
     rows = []

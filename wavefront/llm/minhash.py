@@ -8,10 +8,11 @@ band with probability below 1e-6, at 0.8 below 1e-4.
 
 Equal sets first fall into one class by a 128-bit digest; only one representative of a class goes on. In a bucket
 every member is paired with the least member (a star), so a bucket of n gives n-1 candidates. A centre has then met its
-whole bucket and leaves it. Buckets whose other members are not yet known to be connected are open: they take more stars,
-each around the member that shares most open buckets with others (the text that edited copies derive from), and what is
-open after these is paired in full, block by block. So every pair of a bucket is tried or lies in one component.
-Candidates are confirmed on the full sets, recomputed from the texts.
+whole bucket and leaves it. Buckets whose other members do not lie in one component yet are open: they take more stars,
+each around the member that shares most open buckets with others (the text that edited copies derive from). What is
+open after these is compared in blocks: members of a bucket's largest component stay in one block each, the others
+visit every block. So every pair of a bucket is tried or lies in one component. Candidates are confirmed on the full
+sets, recomputed from the texts.
 """
 
 from __future__ import annotations
@@ -38,7 +39,7 @@ PIECE = 1 << 18
 STEP = 4 << 20
 PAIRS = 500
 STARS = 2
-BLOCK = 128
+BLOCK_BYTES = 2 << 20
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 _SPACE = np.zeros(256, dtype=bool)
@@ -175,9 +176,9 @@ def _confirm(percent: int):
 
 
 def _star_links(docs: DataFrame, keys: DataFrame, centres: DataFrame, percent: int) -> DataFrame:
-    """Confirmed pairs (u, v) of each bucket's members with its centre."""
+    """Confirmed pairs (u, v) of each bucket's members with its centre, where they are not connected yet."""
     near = F.least("n", "cn") * 100 >= F.greatest("n", "cn") * percent
-    pairs = cut(keys.select("key", "doc_id", "n").join(centres.hint("merge"), "key").where((F.col("doc_id") != F.col("c")) & near).select(F.col("doc_id").alias("u"), F.col("c").alias("v")).distinct())
+    pairs = cut(keys.join(centres.hint("merge"), "key").where((F.col("component") != F.col("cc")) & near).select(F.col("doc_id").alias("u"), F.col("c").alias("v")).distinct())
     ends = pairs.select(F.explode(F.array(F.xxhash64("u"), F.xxhash64("v"))).alias("_dk"))
     docs = marked(docs.withColumn("_dk", F.xxhash64("doc_id")), marks(ends, "_dk"), "_dk").where("hit")  # other texts are not moved
     member = pairs.join(docs.select(F.col("doc_id").alias("u"), "text").hint("merge"), "u")
@@ -186,16 +187,10 @@ def _star_links(docs: DataFrame, keys: DataFrame, centres: DataFrame, percent: i
 
 
 def _still_open(keys: DataFrame, centres: DataFrame, links: DataFrame) -> DataFrame:
-    """Buckets without their centre, those only whose members bear several labels: (key, doc_id, n, component).
-
-    A label is the least node within two links. Equal labels mean one component; a component with several labels is
-    only paired more than it need be.
-    """
-    both = links.unionByName(links.select(F.col("v").alias("u"), F.col("u").alias("v")))
-    least = both.groupBy("u").agg(F.least(F.min("u"), F.min("v")).alias("m"))
-    label = both.join(least.withColumnRenamed("u", "v").hint("merge"), "v").groupBy("u").agg(F.min("m").alias("component"))
+    """Buckets without their centre, those only whose members lie in several components: (key, doc_id, n, component)."""
+    label = cut(connected_components(links))
     rest = keys.select("key", "doc_id", "n").join(centres.select("key", "c").hint("merge"), "key").where("doc_id <> c").drop("c")
-    rest = rest.join(label.withColumnRenamed("u", "doc_id").hint("merge"), "doc_id", "left")
+    rest = rest.join(label.withColumnRenamed("node", "doc_id").hint("merge"), "doc_id", "left")
     rest = cut(rest.withColumn("component", F.coalesce("component", "doc_id")))
     several = rest.groupBy("key").agg(F.min("component").alias("a"), F.max("component").alias("b")).where("a <> b").select("key")
     return cut(rest.join(several.hint("merge"), "key", "left_semi"))
@@ -207,69 +202,96 @@ def _hubs(keys: DataFrame) -> DataFrame:
     met = keys.join(size.hint("merge"), "key").groupBy("doc_id").agg(F.sum("m").alias("met"))
     best = F.struct(-F.col("met"), "doc_id")
     scored = keys.join(met.hint("merge"), "doc_id")
-    return scored.groupBy("key").agg(F.min_by("doc_id", best).alias("c"), F.min_by("n", best).alias("cn"))
+    return scored.groupBy("key").agg(F.min_by("doc_id", best).alias("c"), F.min_by("n", best).alias("cn"), F.min_by("component", best).alias("cc"))
 
 
 def _block_links(docs: DataFrame, keys: DataFrame, percent: int) -> DataFrame:
-    """Confirmed pairs (u, v) among all members of each bucket, a block of members against another at a time."""
-    blocks = keys.groupBy("key").agg(F.ceil(F.count(F.lit(1)) / BLOCK).alias("of"))
-    dealt = keys.join(blocks.hint("merge"), "key").withColumn("mine", F.pmod(F.xxhash64("doc_id"), "of"))
-    dealt = dealt.select("key", "doc_id", "component", "mine", F.explode(F.sequence(F.lit(0).cast("long"), F.col("of") - 1)).alias("other"))
-    dealt = dealt.select("doc_id", "component", "mine", F.struct("key", F.least("mine", "other").alias("a"), F.greatest("mine", "other").alias("b")).alias("at"))
-    texts = cut(docs.join(keys.select("doc_id").distinct().hint("merge"), "doc_id", "left_semi"))
-    rows = dealt.join(texts.hint("merge"), "doc_id").select(F.col("at.key").alias("key"), F.col("at.a").alias("a"), F.col("at.b").alias("b"), "mine", "doc_id", "component", "text")
-    rows = rows.repartition("key", "a", "b").sortWithinPartitions("key", "a", "b")
+    """Confirmed pairs (u, v) of different components among the members of each bucket.
+
+    A bucket is dealt into blocks of bounded size. Members of its largest component stay in their block; each of the
+    others goes to all blocks, so what is moved grows with the members that are not connected yet.
+    """
+    parts = keys.groupBy("key", "component").agg(F.count(F.lit(1)).alias("m"), F.sum("n").alias("n"))
+    blocks = parts.groupBy("key").agg(F.max_by("component", F.struct("m", "component")).alias("most"), F.ceil(F.sum("n") * 8 / BLOCK_BYTES).alias("of"))
+    dealt = keys.join(blocks.hint("merge"), "key").withColumn("block", F.pmod(F.xxhash64("doc_id"), "of"))
+    own = dealt.select("key", "block", F.lit(0).alias("visits"), "doc_id", "component")
+    guests = dealt.where("component <> most").select("key", F.explode(F.sequence(F.lit(0).cast("long"), F.col("of") - 1)).alias("block"), F.lit(1).alias("visits"), "doc_id", "component")
+    seats = cut(own.unionByName(guests).groupBy("doc_id", "component").agg(F.collect_list(F.struct("key", "block", "visits")).alias("seats")))
+    ends = seats.select(F.xxhash64("doc_id").alias("_dk"))
+    texts = marked(docs.withColumn("_dk", F.xxhash64("doc_id")), marks(ends, "_dk"), "_dk").where("hit").select("doc_id", "text")
+    rows = texts.join(seats.hint("merge"), "doc_id").mapInArrow(_seated, "key long, block long, visits int, doc_id long, component long, body binary")
+    rows = rows.repartition("key", "block").sortWithinPartitions("key", "block", "visits")
     return rows.mapInArrow(_paired(percent), "u long, v long")
 
 
+def _seated(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(doc_id, text, component, seats) -> a row for each seat with the text's band keys and set."""
+    let_go()
+    names = ["key", "block", "visits", "doc_id", "component", "body"]
+    kinds = [pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.binary()]
+
+    def made(rows: list[tuple]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], names=names)
+
+    for batch in batches:
+        data, offsets = text_buffer(batch.column(1))
+        for i, j in spans_of_bytes(offsets, STEP):
+            sets = shingle_sets(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i])
+            rows, size = [], 0
+            for k, own in zip(range(i, j), sets, strict=True):
+                if not len(own):  # an id's other row may have no words
+                    continue
+                body = band_keys(one_permutation(own)).tobytes() + own.tobytes()
+                doc, component = batch.column(0)[k].as_py(), batch.column(2)[k].as_py()
+                for seat in batch.column(3)[k]:
+                    rows.append((*(seat[c].as_py() for c in names[:3]), doc, component, body))
+                    size += len(body)
+                    if size > 2 << 20:
+                        yield made(rows)
+                        rows, size = [], 0
+            if rows:
+                yield made(rows)
+        give_back()
+
+
 def _paired(percent: int):
-    """Rows in order of (key, a, b) -> links between members of blocks a and b.
+    """Rows in order of (key, block, visits) -> links of a block's members with one another and with its guests.
 
     A pair is tried in the first bucket it shares; where that bucket is no longer open or has lost one of the two, the
     pair lies in one component or was tried with a centre.
     """
 
-    def done(group: tuple, rows: list[tuple]) -> Iterator[tuple[int, int]]:
-        key, a, b = group
-        left = [r for r in rows if r[0] == a]
-        right = left if a == b else [r for r in rows if r[0] == b]
-        theirs = np.array([r[3] for r in right]).reshape(-1, BANDS)
-        label = np.array([r[2] for r in right])
-        size = np.array([len(r[4]) for r in right])
-        for k, (_, u, component, bands, own) in enumerate(left):
-            same = theirs == bands
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        let_go()
+        group, ids, labels, sets, bands, table = None, [], [], [], [], None
+
+        def links_of(key: int, u: int, component: int, band: np.ndarray, own: np.ndarray) -> Iterator[tuple[int, int]]:
+            same = table[0] == band
             first = same.argmax(axis=1)
-            try_ = same.any(axis=1) & (bands[first] == key) & (label != component)
-            try_ &= np.minimum(size, len(own)) * 100 >= np.maximum(size, len(own)) * percent
-            if a == b:
-                try_[: k + 1] = False
+            try_ = same.any(axis=1) & (band[first] == key) & (table[1] != component)
+            try_ &= np.minimum(table[2], len(own)) * 100 >= np.maximum(table[2], len(own)) * percent
             for j in np.flatnonzero(try_).tolist():
-                o = right[j][4]
-                both = len(np.intersect1d(own, o, assume_unique=True))
-                if 100 * both >= percent * (len(own) + len(o) - both) and both:
-                    yield u, right[j][1]
+                both = len(np.intersect1d(own, sets[j], assume_unique=True))
+                if 100 * both >= percent * (len(own) + len(sets[j]) - both) and both:
+                    yield u, ids[j]
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        let_go()
-        group, rows = None, []
-        for whole in batches:
+        for batch in batches:
             out: list[tuple[int, int]] = []
-            for at in range(0, whole.num_rows, PAIRS):
-                batch = whole.slice(at, PAIRS)
-                sets = shingle_sets(*text_buffer(batch.column(6)))
-                columns = [batch.column(k).to_pylist() for k in range(6)]
-                for key, a, b, mine, u, component, own in zip(*columns, sets, strict=True):
-                    if group != (key, a, b):
-                        if rows:
-                            out += done(group, rows)
-                        group, rows = (key, a, b), []
-                    if len(own):  # an id's other row may have no words
-                        rows.append((mine, u, component, band_keys(one_permutation(own)).view(np.int64), own))
+            columns = [batch.column(k).to_pylist() for k in range(6)]
+            for key, block, visits, u, component, body in zip(*columns, strict=True):
+                if group != (key, block):
+                    group, ids, labels, sets, bands, table = (key, block), [], [], [], [], None
+                band, own = np.frombuffer(body[: 8 * BANDS], "<i8"), np.frombuffer(body[8 * BANDS :], "<u8")
+                if not visits:
+                    for column, x in zip((ids, labels, sets, bands), (u, component, own, band), strict=True):
+                        column.append(x)
+                    continue
+                if table is None:
+                    table = (np.stack(bands), np.array(labels), np.array([len(x) for x in sets])) if ids else ()
+                if table:
+                    out += links_of(key, u, component, band, own)
             yield pa.RecordBatch.from_arrays([pa.array([u for u, _ in out], pa.int64()), pa.array([v for _, v in out], pa.int64())], names=["u", "v"])
             give_back()
-        if rows:
-            out = list(done(group, rows))
-            yield pa.RecordBatch.from_arrays([pa.array([u for u, _ in out], pa.int64()), pa.array([v for _, v in out], pa.int64())], names=["u", "v"])
 
     return run
 
@@ -292,7 +314,8 @@ def near_duplicates(docs: DataFrame, percent: int = 85) -> DataFrame:
     keys = reps.select("doc_id", F.col("n_shingles").alias("n"), F.explode("bands").alias("key"))
     full = keys.groupBy("key").agg(F.count(F.lit(1)).alias("m")).where("m > 1").select("key")
     keys = cut(keys.join(full.hint("merge"), "key", "left_semi"))
-    centres = keys.groupBy("key").agg(F.min("doc_id").alias("c"), F.min_by("n", "doc_id").alias("cn"))
+    keys = keys.withColumn("component", F.col("doc_id"))
+    centres = keys.groupBy("key").agg(F.min("doc_id").alias("c"), F.min_by("n", "doc_id").alias("cn"), F.min("doc_id").alias("cc"))
     links = None
     for turn in range(STARS + 1):
         centres = cut(centres)

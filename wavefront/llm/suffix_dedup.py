@@ -287,7 +287,7 @@ def repeated_intervals(docs: DataFrame) -> DataFrame:
     by_doc = cut(wanted.groupBy(F.col("doc_id").alias("d2"), F.col("tk").alias("t2")).agg(F.collect_list("w").alias("w")))
     holders = marked(docs.select("doc_id", "tk", "text"), marks(by_doc, "t2"), "tk").where("hit")
     joined = holders.select("doc_id", "tk", "text").join(by_doc.hint("merge"), F.col("doc_id").eqNullSafe(F.col("d2")) & (F.col("tk") == F.col("t2")))
-    slices = joined.select("doc_id", "tk", "text", "w").mapInArrow(_slices, f"{_DDL}, many boolean")
+    slices = cut(joined.select("doc_id", "tk", "text", "w").mapInArrow(_slices, f"{_DDL}, many boolean"))
     sorting, links = slices.where("not many").drop("many"), []
     if not large.isEmpty():
         parts, links = _dealt_out(slices.where("many").drop("many").dropDuplicates(["bucket", "k1", "k2"]))
