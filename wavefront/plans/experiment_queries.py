@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import time
 import uuid
 
@@ -13,6 +12,7 @@ from pyspark.sql import functions as F
 from wavefront.plans import local, search, segments
 from wavefront.plans.graph_queries import Query, graph, node_pairs, trade_pairs
 from wavefront.plans.search import Graph
+from wavefront.session import shared_folder
 from wavefront.sources.graphs import kept, query_pairs, random_graph
 
 QUERIES: dict[str, Query] = {}
@@ -72,7 +72,7 @@ QUERIES["exp_threshold_coorder"] = threshold_sweep("coorder", (2, 6))
 
 def storage(s: SparkSession, d: str) -> DataFrame:
     """The same searches with edges read from files, kept on disk and kept in memory."""
-    path = f"{_folder(s)}/edges-{uuid.uuid4().hex}"
+    path = f"{shared_folder(s)}/edges-{uuid.uuid4().hex}"
     kept(s, d, "trade").write.parquet(path)
     rows = []
     for name, level in (("files", None), ("disk", StorageLevel.DISK_ONLY), ("memory", StorageLevel.MEMORY_AND_DISK)):
@@ -86,13 +86,9 @@ def storage(s: SparkSession, d: str) -> DataFrame:
 QUERIES["exp_storage"] = storage
 
 
-def _folder(s: SparkSession) -> str:
-    return s.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="wavefront-")
-
-
 def layout(s: SparkSession, d: str, parts: int = 16) -> DataFrame:
     """Files of the index that one frontier of ten nodes touches: laid out by the join key, and as a heap."""
-    path = f"{_folder(s)}/index-{uuid.uuid4().hex}"
+    path = f"{shared_folder(s)}/index-{uuid.uuid4().hex}"
     segments.save(graph(s, d, "random", 10), path, 10, parts)
     graph(s, d, "random", 10).out.repartition(parts).write.parquet(f"{path}/heap")
     front = s.range(10).select((F.col("id") * 31 % 97).alias("nid"))
@@ -107,20 +103,6 @@ def layout(s: SparkSession, d: str, parts: int = 16) -> DataFrame:
 QUERIES["exp_layout"] = layout
 
 
-def in_memory(s: SparkSession, d: str) -> DataFrame:
-    """Segmented search in tables against one- and two-way search on adjacency arrays, 100 pairs each."""
-    pairs = query_pairs(s, d, 100)
-    rows = [("tables_segmented_20", _timed(lambda: segments.segmented(graph(s, d, "random", 20), pairs, 20))[1])]
-    for name, f in (("memory_one_way", local.dijkstra), ("memory_two_way", local.bidirectional)):
-        began = time.time()
-        f(kept(s, d, "random"), pairs).count()
-        rows.append((name, time.time() - began))
-    return s.createDataFrame(rows, "method string, seconds double")
-
-
-QUERIES["exp_in_memory"] = in_memory
-
-
 def build_growth(s: SparkSession, d: str) -> DataFrame:
     """Index build time by graph size."""
     rows = []

@@ -40,6 +40,15 @@ def _both(sql: str) -> str:
     return f"select fid, tid, min(cost) as cost from (select fid, tid, cost from ({sql}) union all select tid, fid, cost from ({sql})) where fid <> tid group by fid, tid"
 
 
+def _generated_sql(nodes: str, seed: int, skewed: bool = False, degree: int = 3, heaviest: int = 50) -> str:
+    drawn = f"select unnest(range(n * {degree})) as i, n from (select {nodes} as n)"
+    step = lambda at: f"select i, n, {', '.join(f'(xor(x{k}, x{k} >> 16) * 73244475) % 2147483648 as x{k}' for k in range(3))} from ({at})"
+    start = f"select cast(i as bigint) as i, cast(n as bigint) as n, {', '.join(f'((i * 3 + {k}) * 2654435 + {seed}) % 2147483648 as x{k}' for k in range(3))} from ({drawn})"
+    last = f"select n, {', '.join(f'xor(x{k}, x{k} >> 15) as x{k}' for k in range(3))} from ({step(step(start))})"
+    end = "(x1 % n) * (x1 % n) // n" if skewed else "x1 % n"
+    return f"select fid, tid, min(cost) as cost from (select x0 % n as fid, {end} as tid, 1 + x2 % {heaviest} as cost from ({last})) where fid <> tid group by fid, tid"
+
+
 _TRADE = "select o_custkey * 2 as fid, l_partkey * 2 + 1 as tid, cast(l_quantity as bigint) as cost from lineitem join orders on l_orderkey = o_orderkey"
 _WEB = "select 'p:' || cast(page_id as varchar) as fid, 'h:' || href as tid, cast(1 + (page_id * 31 + length(href)) % 30 as bigint) as cost from (select distinct page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) as href from pages)"
 _CO = "select a.p as fid, b.p as tid, cast(1 + (a.p + b.p) % 50 as bigint) as cost from (select distinct l_orderkey o, l_partkey p from lineitem where l_orderkey % 8 = 0) a join (select distinct l_orderkey o, l_partkey p from lineitem where l_orderkey % 8 = 0) b on a.o = b.o and a.p < b.p"
@@ -59,6 +68,11 @@ GRAPH_SQL: dict[str, str] = {
     "supplier_dense": _chain_sql("l_suppkey", 1),
     "trade": _both(_TRADE),
     "eventline": "select fid, tid, min(cost) as cost from (select event_id as fid, lead(event_id) over w as tid, cast((floor(epoch(lead(ts) over w))::bigint - floor(epoch(ts))::bigint) // 3600 + 1 as bigint) as cost from events window w as (partition by user_id order by ts, event_id)) where tid is not null group by fid, tid",
+    "gen_random": _generated_sql("(select count(*) from part)", 1),
+    "gen_random_half": _generated_sql("(select count(*) // 2 from part)", 1),
+    "gen_power": _generated_sql("(select count(*) from part)", 2, True),
+    "gen_power_half": _generated_sql("(select count(*) // 2 from part)", 2, True),
+    "gen_power_small": _generated_sql("(select count(*) from supplier)", 2, True),
 }
 
 
@@ -162,8 +176,10 @@ def graph(s: SparkSession, d: str, name: str, threshold: int | None = None) -> G
 
 def node_pairs(s: SparkSession, d: str, name: str, q: int) -> DataFrame:
     """Arithmetic pairs over the ids of graphs whose nodes are not parts."""
-    if name.startswith("supplier"):
+    if name.startswith("supplier") or name.endswith("_small"):
         n = table(s, d, "supplier").count()
+    elif name.endswith("_half"):
+        n = table(s, d, "part").count() // 2
     elif name in ("nation", "nation_undirected"):
         n = 25
     else:
@@ -173,7 +189,7 @@ def node_pairs(s: SparkSession, d: str, name: str, q: int) -> DataFrame:
 
 
 def node_pairs_sql(name: str, q: int) -> str:
-    n = "(select count(*) as n from supplier)" if name.startswith("supplier") else "(select 25 as n)" if name.startswith("nation") else None
+    n = "(select count(*) as n from supplier)" if name.startswith("supplier") or name.endswith("_small") else "(select count(*) // 2 as n from part)" if name.endswith("_half") else "(select 25 as n)" if name.startswith("nation") else None
     return pairs_sql(q) if n is None else f"select qid, s, t from (select i as qid, (i * 7919 + 17) % n as s, (i * 104729 + 1031) % n as t from range({q}) r(i), {n}) where s <> t"
 
 

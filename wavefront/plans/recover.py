@@ -10,7 +10,7 @@ from wavefront.session import cut
 
 
 def _chase(links: DataFrame, start: DataFrame, most: int = 100_000) -> DataFrame:
-    """``links(qid, nid, next)``, ``start(qid, nid)`` -> ``(qid, step, nid)`` with step 0 at the start."""
+    """``links(qid, nid, next)``, ``start(qid, nid)`` -> ``(qid, step, nid)`` with step 0 at the start. Raises beyond ``most`` steps."""
     here = start.select("qid", F.lit(0).alias("step"), "nid")
     done = [cut(here)]
     for k in range(1, most):
@@ -19,6 +19,8 @@ def _chase(links: DataFrame, start: DataFrame, most: int = 100_000) -> DataFrame
         if on.isEmpty():
             break
         done.append(on)
+    else:
+        raise RuntimeError(f"a path has more than {most} nodes")
     out = done[0]
     for part in done[1:]:
         out = out.unionByName(part)

@@ -2,13 +2,12 @@
 
 from __future__ import annotations
 
-import tempfile
-
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from wavefront.functions import paths
 from wavefront.plans.graph_queries import GRAPH_SQL, Query
+from wavefront.session import shared_folder
 from wavefront.sources.graphs import kept
 from wavefront.sources.tables import read_edges, table, write_edges
 
@@ -132,8 +131,7 @@ ORACLE["rel_embedding_knn"] = "select q, vec_id, place from (select *, row_numbe
 
 def _round_trip(form: str) -> Query:
     def run(s: SparkSession, d: str) -> DataFrame:
-        base = s.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="wavefront-")
-        path = f"{base}/wavefront_edges_{form}_{abs(hash(d)) % 10**8}"
+        path = f"{shared_folder(s)}/wavefront_edges_{form}_{abs(hash(d)) % 10**8}"
         write_edges(kept(s, d, "nation"), path, form, parts=4 if form == "parquet" else None)
         return read_edges(s, form, path).select("fid", "tid", "cost")
 

@@ -45,7 +45,8 @@ class Options:
     prune: bool = True
     direction: str = "fewer_open"  # or fewer_affected, alternate
     strict_stop: bool = False  # True: go on while lf + lb = best
-    max_rounds: int = 100_000
+    max_rounds: int = 100_000  # a search that needs more raises, unless unfinished queries may be told apart
+    allow_unfinished: bool = False
     retire_share: float = 0.5
     width: int | None = None
 
@@ -56,6 +57,7 @@ class Result:
     visited: DataFrame
     rounds: DataFrame
     seconds: dict[str, float] = field(default_factory=dict)
+    unfinished: DataFrame | None = None  # qid, s, t of the queries that max_rounds cut off, where that is allowed
 
 
 @contextlib.contextmanager
@@ -107,16 +109,20 @@ def search(graph: Graph, pairs: DataFrame, kind: str, sides: int = 2, threshold:
     """Run the loop with frontier rule ``kind``.
 
     ``pairs(qid, s, t)``: a null t (with sides=1) asks for all nodes within ``radius``. Answers ``(qid, s, t, distance)``
-    have a row for each pair with a path; s = t is 0 after no round; ends outside the graph simply have no path.
+    have a row for each pair with a path; s = t is 0 after no round; ends outside the graph simply have no path. A
+    qid names one query: null or repeated ones are refused. Queries still open after ``max_rounds`` are never dropped
+    in silence: the search raises, or lists them in ``unfinished`` if the options allow that.
     """
     opts = opts or Options()
-    spark = pairs.sparkSession
+    spark = graph.out.sparkSession  # pairs may come from a stream's batch, which has a session of its own
     seconds = {"statistics": 0.0, "expansion": 0.0}
     edge_rows = graph.out.count()
     nid_type, cost_type = graph.out.schema["fid"].dataType, graph.out.schema["cost"].dataType
     todo = pairs.select(F.col("qid").cast("long").alias("qid"), F.col("s").cast(nid_type).alias("s"), F.col("t").cast(nid_type).alias("t"))
     listed = [r.asDict() for r in todo.collect()]
     by_qid = {r["qid"]: r for r in listed}
+    if len(by_qid) < len(listed) or None in by_qid:
+        raise ValueError("a qid is null or stands for several pairs")
     live = [r["qid"] for r in listed if r["s"] is not None and r["s"] != r["t"] and (sides == 1 or r["t"] is not None)]
     found: list[tuple] = [(r["qid"], r["s"], r["t"], 0, 0, 0, 0) for r in listed if r["s"] is not None and r["s"] == r["t"]]
     log: list[tuple] = []
@@ -165,6 +171,8 @@ def search(graph: Graph, pairs: DataFrame, kind: str, sides: int = 2, threshold:
                         log.append((q, -1, "none", 0, None, None, s["visited"], 0.0))
                     continue
                 way = "f" if sides == 1 else _direction(opts.direction, s, c)
+                if number > opts.max_rounds:
+                    continue
                 c["k" + way] += 1
                 k = c["k" + way]
                 level = s["l" + way]
@@ -175,6 +183,8 @@ def search(graph: Graph, pairs: DataFrame, kind: str, sides: int = 2, threshold:
                 log.append((q, number, way, s["n" + way], level, s["best"], s["visited"], 0.0))
                 c["was"] = s["visited"]
             if not live or number > opts.max_rounds:
+                if live and not opts.allow_unfinished:
+                    raise RuntimeError(f"{len(live)} queries are still open after {opts.max_rounds} rounds")
                 break
             if len(done_since) >= max(1, opts.retire_share * (len(live) + len(done_since))):
                 gone = spark.createDataFrame([(q,) for q in done_since], "qid long")
@@ -198,7 +208,8 @@ def search(graph: Graph, pairs: DataFrame, kind: str, sides: int = 2, threshold:
     answer_type = T.StructType([*pair_type.fields, T.StructField("distance", cost_type), *(T.StructField(n, T.LongType()) for n in ("forward_rounds", "backward_rounds", "visited"))])
     answers = spark.createDataFrame([(r[0], r[1], r[2], r[3], *r[4:]) for r in found], answer_type)
     log_type = T.StructType([T.StructField("qid", T.LongType()), T.StructField("round", T.LongType()), T.StructField("dir", T.StringType()), T.StructField("open", T.LongType()), T.StructField("level", cost_type), T.StructField("best", cost_type), T.StructField("visited", T.LongType()), T.StructField("seconds", T.DoubleType())])
-    return Result(answers, visited, spark.createDataFrame(log, log_type), seconds)
+    cut_off = spark.createDataFrame([(q, by_qid[q]["s"], by_qid[q]["t"]) for q in live], pair_type)
+    return Result(answers, visited, spark.createDataFrame(log, log_type), seconds, cut_off)
 
 
 def _direction(how: str, s: dict, c: dict) -> str:

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from wavefront.sources.tables import edges, table
@@ -74,6 +74,32 @@ def event_graph(spark: SparkSession, sf_dir: str) -> DataFrame:
     return edges(e.where("tid is not null").select("fid", "tid", (F.floor(seconds / 3600) + 1).cast("long").alias("cost")))
 
 
+def scrambled(x: Column, seed: int) -> Column:
+    """A 31-bit hash in whole-number arithmetic that any SQL engine repeats: two rounds of shift, exclusive or and product."""
+    x = (x * 2654435 + seed) % (1 << 31)
+    for _ in range(2):
+        x = (x.bitwiseXOR(F.shiftright(x, 16)) * 73244475) % (1 << 31)
+    return x.bitwiseXOR(F.shiftright(x, 15))
+
+
+def generated(spark: SparkSession, nodes: int, degree: int = 3, seed: int = 1, skewed: bool = False, heaviest: int = 50) -> DataFrame:
+    """``nodes * degree`` random edges before self-loops and parallels go, weights 1..heaviest; ``skewed``: ends drawn with
+    a density that falls with the square root of the id. Every edge is a function of its number, so the generator is one
+    narrow map over a range, of any size."""
+    i = F.col("id") * 3
+    end = F.expr("r * r div n") if skewed else F.col("r")
+    drawn = spark.range(nodes * degree).select((scrambled(i, seed) % nodes).alias("fid"), (scrambled(i + 1, seed) % nodes).alias("r"), (1 + scrambled(i + 2, seed) % heaviest).alias("cost"), F.lit(nodes).cast("long").alias("n"))
+    return edges(drawn.select("fid", end.alias("tid"), "cost"))
+
+
+def _parts(spark: SparkSession, sf_dir: str) -> int:
+    return table(spark, sf_dir, "part").count()
+
+
+def _suppliers(spark: SparkSession, sf_dir: str) -> int:
+    return table(spark, sf_dir, "supplier").count()
+
+
 TOY = [("s", "c", 1), ("s", "d", 3), ("s", "b", 4), ("c", "d", 1), ("c", "e", 3), ("d", "f", 5), ("b", "f", 6), ("e", "h", 7), ("f", "t", 6), ("h", "t", 2)]
 
 GRAPHS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
@@ -90,6 +116,12 @@ GRAPHS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "supplier_dense": lambda s, d: supplier_graph(s, d, 1),
     "trade": trade_graph,
     "eventline": event_graph,
+    # as many nodes as there are parts (20,000 at scale 0.1), half and a quarter of them; as many as suppliers
+    "gen_random": lambda s, d: generated(s, _parts(s, d)),
+    "gen_random_half": lambda s, d: generated(s, _parts(s, d) // 2),
+    "gen_power": lambda s, d: generated(s, _parts(s, d), seed=2, skewed=True),
+    "gen_power_half": lambda s, d: generated(s, _parts(s, d) // 2, seed=2, skewed=True),
+    "gen_power_small": lambda s, d: generated(s, _suppliers(s, d), seed=2, skewed=True),
 }
 
 _kept: dict[tuple, DataFrame] = {}
