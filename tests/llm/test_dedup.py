@@ -53,7 +53,7 @@ def test_one_of_each_keeps_columns_and_one_of_a_class(docs):
     assert 1 in ids and 2 not in ids and 4 not in ids and ids.count(None) == 2
 
 
-@pytest.mark.parametrize("stars", [minhash.STARS, 0])
+@pytest.mark.parametrize("stars", [minhash.STARS, 0, 2])
 def test_original_in_the_middle_of_its_copies(spark, monkeypatch, stars):
     """Copies are near the original and not near each other; with no further stars the blocks alone must find it."""
     monkeypatch.setattr(minhash, "STARS", stars)

@@ -38,7 +38,7 @@ BANDS = BINS // BAND_ROWS
 PIECE = 1 << 18
 STEP = 4 << 20
 PAIRS = 500
-STARS = 2
+STARS = 1
 BLOCK_BYTES = 2 << 20
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
@@ -186,9 +186,8 @@ def _star_links(docs: DataFrame, keys: DataFrame, centres: DataFrame, percent: i
     return both.select("u", "v", "text", "other", F.xxhash64("other").alias("other_key")).mapInArrow(_confirm(percent), "u long, v long")
 
 
-def _still_open(keys: DataFrame, centres: DataFrame, links: DataFrame) -> DataFrame:
+def _still_open(keys: DataFrame, centres: DataFrame, label: DataFrame) -> DataFrame:
     """Buckets without their centre, those only whose members lie in several components: (key, doc_id, n, component)."""
-    label = cut(connected_components(links))
     rest = keys.select("key", "doc_id", "n").join(centres.select("key", "c").hint("merge"), "key").where("doc_id <> c").drop("c")
     rest = rest.join(label.withColumnRenamed("node", "doc_id").hint("merge"), "doc_id", "left")
     rest = cut(rest.withColumn("component", F.coalesce("component", "doc_id")))
@@ -316,21 +315,23 @@ def near_duplicates(docs: DataFrame, percent: int = 85) -> DataFrame:
     keys = cut(keys.join(full.hint("merge"), "key", "left_semi"))
     keys = keys.withColumn("component", F.col("doc_id"))
     centres = keys.groupBy("key").agg(F.min("doc_id").alias("c"), F.min_by("n", "doc_id").alias("cn"), F.min("doc_id").alias("cc"))
+    several = some.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    more = cut(copies.join(several, "doc_id", "left_semi").select(F.col("doc_id").alias("u"), F.col("rep").alias("v")))
     links = None
     for turn in range(STARS + 1):
         centres = cut(centres)
         found = _star_links(docs, keys, centres, percent)
         links = cut(found if links is None else links.unionByName(found))
-        keys = _still_open(keys, centres, links)
+        comp = cut(connected_components(links))
+        keys = _still_open(keys, centres, comp)
         if keys.isEmpty():
             break
         if turn < STARS:
             centres = _hubs(keys)
     else:
-        links = links.unionByName(_block_links(docs, keys, percent))
-    several = some.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    bridges = copies.join(several, "doc_id", "left_semi").select(F.col("doc_id").alias("u"), F.col("rep").alias("v"))
-    comp = cut(connected_components(links.unionByName(bridges)))
+        more = cut(more.unionByName(_block_links(docs, keys, percent)))
+    if not more.isEmpty():
+        comp = cut(connected_components(links.unionByName(more)))
     node = copies.join(comp.select(F.col("node").alias("rep"), "component").hint("merge"), "rep", "left").select(F.col("doc_id").alias("node"), F.coalesce("component", "rep").alias("component"))
     labels = cut(comp.unionByName(node).groupBy("node").agg(F.min("component").alias("component")))
     out = sig.join(labels.withColumnRenamed("node", "doc_id").hint("merge"), "doc_id", "left")
@@ -343,8 +344,8 @@ def one_of_each(docs: DataFrame, percent: int = 80) -> DataFrame:
 
     Ids that go are told by a bit map first, so rows that stay for certain are not moved.
     """
-    gone = cut(near_duplicates(docs, percent).where("not kept").select(F.col("doc_id").alias("_gone"), F.xxhash64("doc_id").alias("_gk")).distinct())
-    split = marked(docs.withColumn("_gk", F.xxhash64(F.col("doc_id").cast("long"))), marks(gone, "_gk"), "_gk")
-    names = [f"`{c}`" for c in docs.columns]
-    left = split.where("hit").join(gone.select("_gone").hint("merge"), F.col("doc_id").cast("long") == F.col("_gone"), "left_anti")
-    return split.where("not hit").select(*names).unionByName(left.select(*names))
+    gone = cut(near_duplicates(docs, percent).where("not kept").select(F.col("doc_id").alias("gone"), F.xxhash64("doc_id").alias("key")).distinct())
+    rows = docs.select(F.struct("*").alias("row"), F.col("doc_id").cast("long").alias("id")).withColumn("key", F.xxhash64("id"))  # own columns may bear any name
+    split = marked(rows, marks(gone, "key"), "key")
+    left = split.where("hit").join(gone.select("gone").hint("merge"), F.col("id") == F.col("gone"), "left_anti")
+    return split.where("not hit").select("row.*").unionByName(left.select("row.*"))

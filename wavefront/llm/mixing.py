@@ -124,9 +124,9 @@ def training_order(docs: DataFrame) -> DataFrame:
     m = m.withColumn("_rank", F.row_number().over(Window.partitionBy("doc_id", "source", "size").orderBy("start")))
     m = m.select(F.col("doc_id").alias("_d"), F.col("source").alias("_s"), F.col("size").alias("_z"), "_rank", "source_size", "target", "place", "start", F.explode(F.sequence(F.lit(0), F.col("_copies") - 1)).alias("_pass"))
     m = m.withColumn("_position", due(F.least((F.col("start") + F.col("_pass") * F.col("source_size")) / F.col("target"), F.lit(1.0)), F.col("place")))
-    own = docs.withColumn("_size", words_in(F.col("text")))
-    twins = Window.partitionBy("_did", "_src", "_size").orderBy(F.xxhash64("text"))
-    keyed = own.withColumn("_did", F.col("doc_id").cast("long")).withColumn("_src", F.col("source").cast("string")).withColumn("_own", F.row_number().over(twins))
+    row = docs.select(F.struct("*").alias("row"))  # own columns may bear any name
+    keyed = row.select("row", F.col("row.doc_id").cast("long").alias("_did"), F.col("row.source").cast("string").alias("_src"), words_in(F.col("row.text")).alias("_size"))
+    twins = Window.partitionBy("_did", "_src", "_size").orderBy(F.xxhash64("row.text"))
+    keyed = keyed.withColumn("_own", F.row_number().over(twins))
     same = F.col("_did").eqNullSafe(F.col("_d")) & F.col("_src").eqNullSafe(F.col("_s")) & (F.col("_size") == F.col("_z")) & (F.col("_own") == F.col("_rank"))
-    names = [f"`{c}`" for c in docs.columns]
-    return keyed.join(m.hint("merge"), same).select(*names, "_position", "_d", "_pass").orderBy("_position", "_d", "_pass").select(*names)
+    return keyed.join(m.hint("merge"), same).select("row", "_position", "_d", "_pass").orderBy("_position", "_d", "_pass").select("row.*")

@@ -335,31 +335,30 @@ def remove_repeats(docs: DataFrame, keep: bool = True) -> DataFrame:
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     rows = with_spans(docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text")))
     out = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary"
-    return rows.select("doc_id", "text", SPANS).mapInArrow(_cut_texts(keep), out)
+    return rows.select("row.doc_id", "row.text", SPANS).mapInArrow(_cut_texts(keep), out)
 
 
 SPANS = "_repeated"
 
 
 def with_spans(docs: DataFrame, passages: bool = False) -> DataFrame:
-    """``docs`` with a column ``SPANS`` of string-start intervals (s, e) that repeat elsewhere, null where there are none.
+    """``row`` (a struct of the columns of ``docs``) and ``SPANS``, the string-start intervals (s, e) that repeat elsewhere, null where there are none.
 
     With ``passages`` there are intervals of 51-word windows too, counted in words and marked by ``words``.
     Rows without a repeat are told by a bit map and stay where they are; only the others meet their spans in a join.
     """
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    keyed = docs.withColumn("_tk", F.xxhash64(text))
-    slim = keyed.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("_tk").alias("tk"), text.alias("text"))
+    keyed = docs.select(F.struct("*").alias("row"), F.col("doc_id").cast("long").alias("id"), F.xxhash64(text).alias("tk"))
+    slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("tk"), text.alias("text"))
     found = repeated_intervals(slim).withColumn("words", F.lit(False))
     if passages:
         found = found.unionByName(repeated_passages(slim).withColumn("words", F.lit(True)))
     spans = found.groupBy("doc_id", "tk").agg(F.collect_set(F.struct("s", "e", "words")).alias(SPANS))
-    spans = cut(spans.select(F.col("doc_id").alias("_d2"), F.col("tk").alias("_t2"), SPANS))
-    split = marked(keyed, marks(spans, "_t2"), "_tk")
-    names = [f"`{c}`" for c in docs.columns]
-    alone = split.where("not hit").select(*names, F.lit(None).cast("array<struct<s:bigint,e:bigint,words:boolean>>").alias(SPANS))
-    met = split.where("hit").join(spans.hint("merge"), F.col("doc_id").cast("long").eqNullSafe(F.col("_d2")) & (F.col("_tk") == F.col("_t2")), "left")
-    return alone.unionByName(met.select(*names, SPANS))
+    spans = cut(spans.select(F.col("doc_id").alias("d2"), F.col("tk").alias("t2"), SPANS))
+    split = marked(keyed, marks(spans, "t2"), "tk")
+    alone = split.where("not hit").select("row", F.lit(None).cast("array<struct<s:bigint,e:bigint,words:boolean>>").alias(SPANS))
+    met = split.where("hit").join(spans.hint("merge"), F.col("id").eqNullSafe(F.col("d2")) & (F.col("tk") == F.col("t2")), "left")
+    return alone.unionByName(met.select("row", SPANS))
 
 
 def cut_text(text: bytes, spans: list[tuple[int, int]]) -> tuple[bytes, int]:
@@ -399,9 +398,13 @@ def _without(place: int):
 def without_repeats(docs: DataFrame) -> DataFrame:
     """``docs`` with repeated passages (400 bytes or 51 words) cut from ``text`` (halves of characters at a cut go too) and n_chars, if any, set anew."""
     rows = with_spans(docs, passages=True)
-    rest = rows.where(F.col(SPANS).isNull()).drop(SPANS)
-    found = rows.where(F.col(SPANS).isNotNull()).withColumn("text", F.col("text").cast("string"))
-    hit = found.mapInArrow(_without(docs.columns.index("text")), found.drop(SPANS).schema)
+    rest = rows.where(F.col(SPANS).isNull()).select("row.*")
+    name = SPANS
+    while name in docs.columns:
+        name += "_"
+    own = [F.col(f"row.`{c}`").cast("string").alias(c) if c == "text" else F.col(f"row.`{c}`") for c in docs.columns]
+    found = rows.where(F.col(SPANS).isNotNull()).select(*own, F.col(SPANS).alias(name))
+    hit = found.mapInArrow(_without(docs.columns.index("text")), found.drop(name).schema)
     if "n_chars" in docs.columns:
         hit = hit.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
-    return rest.unionByName(hit.select(*(f"`{c}`" for c in docs.columns)))
+    return rest.unionByName(hit)

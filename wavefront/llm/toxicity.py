@@ -5,10 +5,12 @@ cut_0 < cut_1. The output is the expected severity, P(grade > 0) + P(grade > 1).
 and word starts of three and five letters of a text. Only features whose
 share differs between clean and toxic rows beyond chance (chi-square) get a weight, at most ``MOST_FEATURES``.
 
-Labels tell toxic from clean only. Toxic rows are split into grades 1 and 2 at the median number of
-distinct features that the labelled rows themselves mark as toxic (seen mostly in toxic rows).
+Labels tell toxic from clean only; the second grade is therefore a convention and not a measured quality: toxic rows are
+split into grades 1 and 2 at the median number of distinct features that the labelled rows themselves mark as toxic
+(seen mostly in toxic rows). What is held against labels is the rejection at ``REJECT_AT``.
 
-Fitting uses at most ``FIT_ROWS`` labelled rows, the ones with the least hash of their id; everything is scored.
+Parameters that bound the fit: at most ``FIT_ROWS`` labelled rows, the ones with the least hash of their id, and at most
+``MOST_FEATURES`` weights, those with the highest chi-square; everything is scored.
 """
 
 from __future__ import annotations
@@ -109,6 +111,11 @@ class Ordinal:
         return float(above.sum()), int(np.argmax(share))
 
 
+    def least_to_reject(self, reject_at: float) -> float:
+        """``reject_at``, but above the severity of a text without any feature: no evidence is no reason to reject."""
+        return max(reject_at, float(np.nextafter(self.severity(np.empty(0, np.int64))[0], 2)))
+
+
 def graded(rows: list[tuple[np.ndarray, np.ndarray]], toxic: np.ndarray) -> np.ndarray:
     """Grades 0, 1, 2 from 0/1 labels: toxic rows with more marked features than their median get 2."""
     size = 1 << BITS
@@ -134,7 +141,9 @@ def fit_on(docs: DataFrame, labels: DataFrame, rows: int = FIT_ROWS) -> Ordinal:
     known = labels.where("toxic in (0, 1) and doc_id is not null").groupBy(F.col("doc_id").alias("_id")).agg(F.max("toxic").cast("int").alias("toxic"))
     chosen = known.orderBy(F.xxhash64(F.lit(5), "_id"), "_id").limit(rows)
     texts = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    joined = texts.join(F.broadcast(chosen), F.col("doc_id") == F.col("_id")).where("text is not null").dropDuplicates(["doc_id"])
+    joined = texts.join(F.broadcast(chosen), F.col("doc_id") == F.col("_id")).where("text is not null")
+    # of several texts of one id the one with the least digest, so reruns agree
+    joined = joined.groupBy("doc_id").agg(F.min_by("text", F.struct(F.sha2("text", 256), "text")).alias("text"), F.max("toxic").alias("toxic"))
     sample = joined.select("text", "toxic").mapInArrow(_featured, "toxic int, f array<int>, n array<int>").toArrow()
     flat = lambda name, kind: [np.asarray(x.values, kind) for x in sample.column(name)]
     found = list(zip(flat("f", np.int64), flat("n", np.float64), strict=True))
@@ -162,20 +171,20 @@ def grade_documents(docs: DataFrame, labels: DataFrame, reject_at: float = REJEC
     """Expected severity of every whole text of ``docs(doc_id, text, ...)``, by a model fitted on ``labels(doc_id, toxic)``.
 
     Returns ``doc_id, severity (0..2), grade, toxic``, a row for each input row; ``toxic`` is severity >= reject_at. A null or empty text
-    has no features and gets the model's base severity. Null or repeated doc_ids are rows like any other; other
+    has no features, gets the model's base severity and is not toxic. Null or repeated doc_ids are rows like any other; other
     columns are ignored; an empty table gives an empty result. Without any labelled row the model knows nothing and
     calls nothing toxic.
     """
     model = fit_on(docs, labels, fit_rows)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     scored = texts.mapInArrow(_scored(model), "doc_id long, severity double, grade int")
-    return scored.withColumn("toxic", F.col("severity") >= reject_at)
+    return scored.withColumn("toxic", F.col("severity") >= model.least_to_reject(reject_at))
 
 
 def drop_toxic(docs: DataFrame, labels: DataFrame, reject_at: float = REJECT_AT, fit_rows: int = FIT_ROWS) -> DataFrame:
     """The rows of ``docs`` below ``reject_at``, with their own columns; see ``grade_documents`` for odd rows."""
     model = fit_on(docs, labels, fit_rows)
-    weights, cuts, place = model.weights.astype(np.float32), model.cuts, docs.columns.index("text")
+    weights, cuts, place, reject_at = model.weights.astype(np.float32), model.cuts, docs.columns.index("text"), model.least_to_reject(reject_at)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         let_go()
