@@ -16,7 +16,7 @@ import math
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from wavefront.llm.rownumbers import bucket_count, bucket_of
+from wavefront.llm.rownumbers import bucket_count, bucket_of, copied
 from wavefront.session import cut
 
 WEIGHTS = (5, 2, 1)
@@ -98,7 +98,7 @@ def mixed(docs: DataFrame) -> DataFrame:
     within = Window.partitionBy("source", "_b").orderBy(F.xxhash64(F.lit(29), "doc_id", "size"), "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
     rows = rows.withColumn("_w", F.coalesce(F.sum(F.col("size") * F.col("_n")).over(within), F.lit(0)))
     rows = rows.join(F.broadcast(table) if small else table.hint("merge"), F.col("source").eqNullSafe(F.col("_s")) & (F.col("_b") == F.col("_b2")))
-    rows = rows.withColumn("_k", F.explode(F.expr("sequence(0, _n - 1)"))).withColumn("start", F.col("_first") + F.col("_w") + F.col("_k") * F.col("size"))
+    rows = copied(rows, "_n").withColumn("start", F.col("_first") + F.col("_w") + F.col("_copy") * F.col("size"))
     goal = F.round("target").cast("long")
     passes = F.when(F.col("source_size") > 0, F.expr("cast(round(target) as bigint) div source_size")).otherwise(F.lit(0).cast("long"))
     last = F.greatest(F.lit(0), F.least(F.col("size"), goal - passes * F.col("source_size") - F.col("start")))

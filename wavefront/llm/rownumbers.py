@@ -14,6 +14,7 @@ from wavefront.session import cut
 
 ROWS_A_BUCKET = 20_000
 MOST_BUCKETS = 4096
+PIECE = 4096
 
 
 def bucket_count(rows: int) -> int:
@@ -24,6 +25,13 @@ def bucket_of(buckets: int, *keys: str) -> Column:
     return F.pmod(F.xxhash64(F.lit(17), *keys), F.lit(buckets)).cast("int")
 
 
+def copied(rows: DataFrame, times: str) -> DataFrame:
+    """Each row as often as column ``times`` says, with ``_copy`` 0, 1, ...; in pieces, so no array grows with the copies."""
+    pieces = rows.withColumn("_piece", F.explode(F.expr(f"sequence(0L, ({times} - 1) div {PIECE})")))
+    within = F.expr(f"sequence(_piece * {PIECE}, least(_piece * {PIECE} + {PIECE}, {times}) - 1)")
+    return pieces.withColumn("_copy", F.explode(within)).drop("_piece")
+
+
 def numbered(df: DataFrame, name: str = "row_number") -> tuple[DataFrame, int]:
     """``df`` (any columns that can be grouped by) with numbers 0..n-1 in ``name``, and n. Equal rows are
     interchangeable; the numbering depends on nothing but the rows."""
@@ -37,5 +45,4 @@ def numbered(df: DataFrame, name: str = "row_number") -> tuple[DataFrame, int]:
     first = totals.select("_b", F.coalesce(F.sum("_t").over(before), F.lit(0)).alias("_first"))
     within = Window.partitionBy("_b").orderBy(*keys).rowsBetween(Window.unboundedPreceding, -1)
     start = rows.withColumn("_s", F.coalesce(F.sum("_n").over(within), F.lit(0))).join(F.broadcast(first), "_b")
-    number = F.explode(F.expr("sequence(_first + _s, _first + _s + _n - 1)")).alias(name)
-    return start.select(*keys, number), n
+    return copied(start, "_n").select(*keys, (F.col("_first") + F.col("_s") + F.col("_copy")).alias(name)), n

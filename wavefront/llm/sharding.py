@@ -2,7 +2,8 @@
 
 A number x below n is split as x = left + a * right with a * b >= n just covering it; rounds add a keyed hash of one
 half to the other, modulo a or b, which permutes 0..a*b-1. Where the result is n or more it is permuted again (cycle
-walking), so 0..n-1 is permuted. a*b - n is below a, so a second walk has a chance of about 1/sqrt(n).
+walking), so 0..n-1 is permuted. a*b - n is below a, so a second walk has a chance of about 1/sqrt(n); the walks of one
+number are bounded by ``MOST_WALKS``, and a number still outside then is an error, never a wrong place.
 """
 
 from __future__ import annotations
@@ -37,8 +38,10 @@ def permuted(x: Column, n: int, seed: int) -> Column:
         lambda s: s["l"] + F.lit(a).cast("long") * s["r"],
     )
     walks = min(a * b - n + 1, MOST_WALKS)
-    y = F.aggregate(F.sequence(F.lit(1), F.lit(walks)), once(x), lambda z, _: F.when(z >= n, once(z)).otherwise(z)) if a * b > n else once(x)
-    return y
+    if a * b <= n:
+        return once(x)
+    inside = lambda z: F.when(z < n, z).otherwise(F.raise_error(F.lit(f"a row number is still outside after {walks} walks")).cast("long"))
+    return F.aggregate(F.sequence(F.lit(1), F.lit(walks)), once(x), lambda z, _: F.when(z >= n, once(z)).otherwise(z), inside)
 
 
 def shard(docs: DataFrame, shards: int = 40, seed: int = 20240607) -> DataFrame:
