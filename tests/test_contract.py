@@ -45,7 +45,7 @@ def test_a_long_path_is_not_cut(spark, chain):
 def test_generated_graphs_do_not_depend_on_the_layout(spark):
     a = generated(spark, 300, skewed=True)
     assert sorted(a.collect()) == sorted(generated(spark, 300, skewed=True).repartition(7).collect())
-    assert 800 < a.count() <= 900 and a.where("fid = tid or cost < 1 or cost > 50 or fid >= 300 or tid >= 300").count() == 0
+    assert 800 < a.count() <= 900 and a.where("fid = tid or cost < 1 or cost > 20 or fid >= 300 or tid >= 300").count() == 0
     low = generated(spark, 300, skewed=True).where("tid < 75").count()
     assert low > 1.5 * generated(spark, 300).where("tid < 75").count()
 

@@ -40,7 +40,7 @@ def _both(sql: str) -> str:
     return f"select fid, tid, min(cost) as cost from (select fid, tid, cost from ({sql}) union all select tid, fid, cost from ({sql})) where fid <> tid group by fid, tid"
 
 
-def _generated_sql(nodes: str, seed: int, skewed: bool = False, degree: int = 3, heaviest: int = 50) -> str:
+def _generated_sql(nodes: str, seed: int, skewed: bool = False, degree: int = 3, heaviest: int = 20) -> str:
     drawn = f"select unnest(range(n * {degree})) as i, n from (select {nodes} as n)"
     step = lambda at: f"select i, n, {', '.join(f'(xor(x{k}, x{k} >> 16) * 73244475) % 2147483648 as x{k}' for k in range(3))} from ({at})"
     start = f"select cast(i as bigint) as i, cast(n as bigint) as n, {', '.join(f'((i * 3 + {k}) * 2654435 + {seed}) % 2147483648 as x{k}' for k in range(3))} from ({drawn})"

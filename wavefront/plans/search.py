@@ -142,7 +142,7 @@ def search(graph: Graph, pairs: DataFrame, kind: str, sides: int = 2, threshold:
     graph.back.createOrReplaceTempView(views["b"][0])
     ends.createOrReplaceTempView(f"{tag}_ends")
     with rounds_conf(spark, edge_rows, opts.width):
-        state = cut(state)
+        state = cut(state, laid_out=True)
         done_since: list[int] = []
         for number in range(1, opts.max_rounds + 2):
             began = time.time()
@@ -196,7 +196,7 @@ def search(graph: Graph, pairs: DataFrame, kind: str, sides: int = 2, threshold:
             used = {w: views[w] for w in ("f", "b") if any(c["dir"] == w for c in turn)}
             backward = [c["qid"] for c in turn if c["dir"] == "b"] if len(turn) <= INLINE_QUERIES else None
             few = sum(stats[c["qid"]]["n" + c["dir"]] for c in turn) <= BROADCAST_FRONTIER
-            state = cut(spark.sql(_round_sql(f"{tag}_state", _control_sql(spark, turn, nid_type, cost_type, f"{tag}_control"), backward, used, kind, opts, radius, few)))
+            state = cut(spark.sql(_round_sql(f"{tag}_state", _control_sql(spark, turn, nid_type, cost_type, f"{tag}_control"), backward, used, kind, opts, radius, few)), laid_out=True)
             spent = time.time() - began
             seconds["expansion"] += spent
             log = [(*r[:7], spent) if r[1] == number else r for r in log]

@@ -29,7 +29,7 @@ def local_pairs(edges: DataFrame, threshold: float, opts: Options | None = None)
     state = spark.sql(f"select distinct fid as qid, fid as nid, cast(0 as {cost}) as d, cast(null as {parent}) as p, cast({OPEN} as tinyint) as f from {tag}_edges")
     number = 0
     with rounds_conf(spark, 8 * (rows or 1), opts.width):
-        state = cut(state)
+        state = cut(state, laid_out=True)
         while True:
             state.createOrReplaceTempView(f"{tag}_state")
             level, open_ = spark.sql(f"select min(d), count(1) from {tag}_state where f = {OPEN}").first()
@@ -42,7 +42,8 @@ def local_pairs(edges: DataFrame, threshold: float, opts: Options | None = None)
                     f"with flagged as (select qid, nid, d, p, case when f = {OPEN} and {test} then cast({ACTIVE} as tinyint) else f end as f from {tag}_state), front as (select qid, nid, d from flagged where f = {ACTIVE}), "
                     f"cand as ({neighbours_sql('front', f'{tag}_edges', limit=threshold)}), new as ({cheapest_sql('cand', opts.expand)}), old as (select qid, nid, d, p, case when f = {ACTIVE} then cast({CLOSED} as tinyint) else f end as f from flagged) "
                     f"{merge_sql('old', 'new', opts.merge)}"
-                )
+                ),
+                laid_out=True,
             )
     spark.catalog.dropTempView(f"{tag}_edges")
     spark.catalog.dropTempView(f"{tag}_state")

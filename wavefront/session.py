@@ -31,16 +31,23 @@ def ensure_checkpoint_dir(spark: SparkSession) -> None:
         spark.sparkContext.setCheckpointDir(shared_folder(spark))
 
 
-def cut(df: DataFrame) -> DataFrame:
+def cut(df: DataFrame, laid_out: bool = False) -> DataFrame:
     """Materialise ``df`` in the shared checkpoint folder; the plan that follows starts from a leaf.
 
     A checkpoint inherits its plan's size estimate, and a join's estimate is the product of its sides: over the rounds
-    of a loop it would grow to numbers of millions of digits. So the leaf is made anew over the checkpoint's rows.
+    of a loop it would grow to numbers of millions of digits. So the leaf is made anew without it. With ``laid_out`` the
+    leaf keeps what is known of its partitioning, so rounds that join on one key need no exchange of it; without, joins
+    get fresh exchanges, whose hot partitions adaptive execution may split.
     """
     spark = df.sparkSession
     ensure_checkpoint_dir(spark)
     kept = df.checkpoint(eager=True)._jdf
-    return DataFrame(spark._jsparkSession.internalCreateDataFrame(kept.queryExecution().toRdd(), kept.schema(), False), spark)
+    session = kept.sparkSession()
+    if not laid_out:
+        return DataFrame(session.internalCreateDataFrame(kept.queryExecution().toRdd(), kept.schema(), False), spark)
+    leaf, none = kept.queryExecution().analyzed(), spark._jvm.scala.Option.empty()
+    plain = leaf.copy(leaf.output(), leaf.rdd(), leaf.outputPartitioning(), leaf.outputOrdering(), False, none, session, none, none)
+    return DataFrame(spark._jvm.org.apache.spark.sql.classic.Dataset.ofRows(session, plain), spark)
 
 
 def shuffle_width(spark: SparkSession) -> int:

@@ -82,8 +82,8 @@ def scrambled(x: Column, seed: int) -> Column:
     return x.bitwiseXOR(F.shiftright(x, 15))
 
 
-def generated(spark: SparkSession, nodes: int, degree: int = 3, seed: int = 1, skewed: bool = False, heaviest: int = 50) -> DataFrame:
-    """``nodes * degree`` random edges before self-loops and parallels go, weights 1..heaviest; ``skewed``: ends drawn with
+def generated(spark: SparkSession, nodes: int, degree: int = 3, seed: int = 1, skewed: bool = False, heaviest: int = 20) -> DataFrame:
+    """``nodes * degree`` random edges before self-loops and parallels go, weights 1..``heaviest``; ``skewed``: ends drawn with
     a density that falls with the square root of the id. Every edge is a function of its number, so the generator is one
     narrow map over a range, of any size."""
     i = F.col("id") * 3
