@@ -1,5 +1,6 @@
 """What a search refuses or reports, generated graphs, the scripted loop, instruments, streams."""
 
+import pyarrow.parquet as pq
 import pytest
 
 from wavefront.plans import probes, recover, scripted, search
@@ -67,7 +68,7 @@ def test_steps_are_counted(spark, chain):
 def test_previous_events_and_late_rows(spark, tmp_path):
     rows = [(1, "2024-01-01 10:00:00", 7), (2, "2024-01-05 10:00:00", 7), (3, "2024-01-05 09:00:00", 8), (4, "2024-01-02 00:00:00", 7)]
     made = spark.createDataFrame(rows, "event_id long, ts string, user_id long").selectExpr("event_id", "cast(ts as timestamp_ntz) as ts", "user_id", "'x' as event_type", "1.0D as value", "'{}' as props")
-    made.coalesce(1).write.parquet(str(tmp_path / "events.parquet"))
-    got = stream.run(stream.previous_events(stream.read_events(spark, str(tmp_path / "events.parquet").rsplit("/", 1)[0]))).collect()
+    pq.write_table(made.toArrow(), tmp_path / "events.parquet")  # a stream reads files, not folders of them
+    got = stream.run(stream.previous_events(stream.read_events(spark, str(tmp_path)))).collect()
     assert {r["event_id"]: r["previous"] for r in got} == {1: None, 4: 1, 2: 4, 3: None}
     assert stream.count_late(spark, str(tmp_path), "2 days") == 2
