@@ -101,7 +101,7 @@ _DIALECTS = (("aggjoin", "two_step"), ("aggjoin", "algebra"), ("window", "single
 
 def _split(s: SparkSession, d: str) -> list[tuple]:
     sources = node_pairs(s, d, "gen_power", 20).select("qid", "s")
-    visited, log = probes.stepwise(kept(s, d, "gen_power"), sources, limit=60)
+    visited, log = probes.stepwise(kept(s, d, "gen_power"), sources, limit=25)
     rows = log.groupBy("operator").agg(F.count(F.lit(1)).alias("rounds"), F.sum("rows").alias("rows"), F.sum("seconds").alias("seconds")).collect()
     v = visited.agg(F.count(F.lit(1)), F.sum("d")).first()
     return [(r["operator"], r["rounds"], r["rows"], r["seconds"], v[0], v[1]) for r in rows]
@@ -109,7 +109,7 @@ def _split(s: SparkSession, d: str) -> list[tuple]:
 
 _SPLIT = "operator string, rounds long, rows long, seconds double, visited long, total long"
 add("measure_operators")(lambda s, d: s.createDataFrame(_once(s, d, "measure_operators", lambda: _split(s, d)), _SPLIT))
-_BALL = f"{distances_sql(GRAPH_SQL['gen_power'], node_pairs_sql('gen_power', 20))} select count(*) as visited, cast(sum(dist) as bigint) as total from sp where dist <= 60"
+_BALL = f"{distances_sql(GRAPH_SQL['gen_power'], node_pairs_sql('gen_power', 20))} select count(*) as visited, cast(sum(dist) as bigint) as total from sp where dist <= 25"
 add("measure_operators_exact", _BALL)(lambda s, d: s.createDataFrame(_once(s, d, "measure_operators", lambda: _split(s, d)), _SPLIT).select("visited", "total").distinct())
 
 
