@@ -2,9 +2,14 @@
 
 from __future__ import annotations
 
+import os
+import time
+
 import pyarrow as pa
 
+from wavefront.operators.components import connected_components
 from wavefront.plans.replicated import share
+from wavefront.session import cut
 from wavefront.sources.tables import from_rows
 
 
@@ -20,3 +25,20 @@ def test_each_share_is_a_task_of_its_own(spark):
     rows = found.collect()
     assert found.rdd.getNumPartitions() == 4
     assert sorted(r["qid"] for r in rows) == list(range(20)) and {r["nodes"] for r in rows} == {3}
+
+
+def test_a_cut_leaves_no_shuffle_files(spark):
+    blocks = lambda: sum(b.toString().startswith("shuffle_") for b in list(spark._jvm.scala.jdk.javaapi.CollectionConverters.asJava(spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllBlocks())))
+    before, end = blocks(), time.time() + 10
+    kept = cut(spark.range(1000).repartition(8, "id"))
+    while blocks() > before and time.time() < end:
+        time.sleep(0.1)
+    assert blocks() <= before and kept.count() == 1000 and kept.count() == 1000
+
+
+def test_components_leave_their_last_state_only(spark):
+    folder = spark.sparkContext._jsc.sc().getCheckpointDir().get().removeprefix("file:")
+    before = set(os.listdir(folder)) if os.path.isdir(folder) else set()
+    found = connected_components(spark.createDataFrame([(k, k + 1) for k in range(1, 40)], "u long, v long"))
+    assert len(set(os.listdir(folder)) - before) == 1
+    assert {tuple(r) for r in found.collect()} == {(k, 1) for k in range(1, 41)}
