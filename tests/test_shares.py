@@ -6,8 +6,10 @@ import os
 import time
 
 import pyarrow as pa
+import pytest
 
 from wavefront.operators.components import connected_components
+from wavefront.plans import workload_queries
 from wavefront.plans.replicated import share
 from wavefront.session import cut
 from wavefront.sources.tables import from_rows
@@ -42,3 +44,17 @@ def test_components_leave_their_last_state_only(spark):
     found = connected_components(spark.createDataFrame([(k, k + 1) for k in range(1, 40)], "u long, v long"))
     assert len(set(os.listdir(folder)) - before) == 1
     assert {tuple(r) for r in found.collect()} == {(k, 1) for k in range(1, 41)}
+
+
+def test_memory_comparison_builds_its_index_inside_tasks(monkeypatch):
+    asked = []
+
+    def graph(s, d, on, threshold, opts=None):
+        asked.append(opts)
+        raise InterruptedError
+
+    monkeypatch.setattr(workload_queries, "node_pairs", lambda *a: None)
+    monkeypatch.setattr(workload_queries, "graph", graph)
+    with pytest.raises(InterruptedError):
+        workload_queries._memory(None, "")
+    assert asked[0] and asked[0].inside
