@@ -9,6 +9,7 @@ import pytest
 
 from wavefront.llm import bitmap, embeddings, minhash, suffix_dedup
 from wavefront.llm.suffix_order import LENGTH, difference_cover, repeated_starts, shift_table, suffix_array
+from wavefront.operators import components
 from wavefront.operators.components import connected_components
 
 
@@ -112,6 +113,17 @@ def test_hot_buckets_give_the_same(docs, monkeypatch):
     assert sorted(r["kept_sha256"] for r in a.collect()) == sorted(hashlib.sha256(k).hexdigest() for k, _ in removed([(r["doc_id"], r["text"]) for r in docs.collect()]))
 
 
+@pytest.mark.parametrize("in_task", [0, 10**6])
+def test_hot_buckets_are_split_as_tables_or_in_their_task(docs, monkeypatch, in_task):
+    monkeypatch.setattr(suffix_dedup, "BUCKET_CLASSES", 1)
+    monkeypatch.setattr(suffix_dedup, "IN_TASK", in_task)
+    steps, dealt_out = [], suffix_dedup._dealt_out
+    monkeypatch.setattr(suffix_dedup, "_dealt_out", lambda large: steps.append(1) or dealt_out(large))
+    a = suffix_dedup.remove_repeats(docs)
+    assert sorted(r["kept_sha256"] for r in a.collect()) == sorted(hashlib.sha256(k).hexdigest() for k, _ in removed([(r["doc_id"], r["text"]) for r in docs.collect()]))
+    assert bool(steps) == (not in_task)
+
+
 def test_passages_of_51_words_go(spark):
     """Short words: 51 of them take far less than 400 bytes; blanks between words do not matter, 50 words stay."""
     r = random.Random(3)
@@ -194,6 +206,17 @@ def test_components_of_a_chain_and_a_star(spark):
     assert got == {k: 0 for k in range(41)} | {k: 100 for k in range(100, 160)}
 
 
+def test_few_edges_take_one_task_and_no_rounds(spark, monkeypatch):
+    r = random.Random(4)
+    edges = spark.createDataFrame([(r.randrange(-200, 400), r.randrange(400)) for _ in range(350)], "u long, v long")
+    asked, cut = [], components.cut
+    monkeypatch.setattr(components, "cut", lambda df: asked.append(1) or cut(df))
+    once = sorted(map(tuple, connected_components(edges).collect()))
+    assert len(asked) == 2
+    monkeypatch.setattr(components, "ONE_TASK", 0)
+    assert sorted(map(tuple, connected_components(edges).collect())) == once and len(asked) > 4
+
+
 def test_bit_map_never_loses_a_key(spark):
     rows = spark.range(2000).selectExpr("id", "xxhash64(id) as k")
     hit = bitmap.marked(rows, bitmap.marks(rows.where("id % 7 = 0"), "k"), "k")
