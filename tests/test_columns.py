@@ -75,3 +75,14 @@ def test_dialect_workloads_take_no_jobs_a_round(spark, small, pairs, monkeypatch
     monkeypatch.setattr(workload_queries, "_measure", lambda *a, **b: made.append(measure(*a, **b)) or made[-1])
     workload_queries._dialects(spark, "")
     assert made[0][3] and made[0][9] < 1.5  # jobs a round; statements take two and those of their broadcasts
+
+
+def test_builds_take_no_rounds_of_statements(spark, small, monkeypatch):
+    def refuse(*a):
+        raise AssertionError("a build ran as statements")
+
+    want = segments.build(small.out, 3)[0].count()
+    monkeypatch.setattr(segments, "local_pairs", refuse)
+    monkeypatch.setattr(workload_queries, "kept", lambda *a: small.out)
+    found = workload_queries._builds(spark, "", "gen_power", 3)
+    assert [r[0] for r in found] == workload_queries._HOW and {r[1] for r in found} == {want}
